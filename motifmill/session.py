@@ -24,9 +24,18 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+ARROW_BATCH_BYTES = 4 << 20
+
+
 def ship(spark: SparkSession) -> None:
-    """Give this package to Python workers, which may not see the driver's folders."""
+    """Give this package to Python workers, which may not see the driver's folders.
+
+    Also bounds Arrow batches in bytes, unless the session says otherwise: their default
+    bound counts rows only, which very long texts outgrow.
+    """
     sc = spark.sparkContext
+    if spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch", None) is None:
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", ARROW_BATCH_BYTES)
     if getattr(sc, "_motifmill_shipped", False):
         return
     here = os.path.dirname(os.path.abspath(__file__))
