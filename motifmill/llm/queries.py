@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, pii
+from . import bpe, exact_dedup, pii, substring_dedup, url_filter
 
 QUERIES = {
     "op1_pii": pii.op1_pii,
+    "op4_url_filter": url_filter.op4_url_filter,
+    "op8_bpe": bpe.op8_bpe,
+    "op9_substring_dedup": substring_dedup.op9_substring_dedup,
     "op10_exact_dedup": exact_dedup.op10_exact_dedup,
 }
 
 SQL = {
+    "op9_substring_dedup": substring_dedup.SQL,
     "op10_exact_dedup": exact_dedup.SQL,
 }
