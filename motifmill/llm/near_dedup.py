@@ -5,9 +5,10 @@ for the contract's query, five elsewhere).  One permutation fills BINS bins with
 least fingerprints; an empty bin borrows from a non-empty one picked by a universal hash
 of (bin, attempt).  Bands of ROWS bins are bucket keys.  Documents with equal sets are one
 class, so copies never meet in pairs.  In a bucket every class is tied to the least one
-(a star, so pairs grow with members); each tie is confirmed on the full sets.  Members of
-a bucket that are then in different components are compared further, until every pair of
-a bucket is linked, in one component, or compared.  Small sets get more repetitions, since
+(a star, so pairs grow with members); each tie is confirmed on the full sets.  Where a
+bucket's members are then in different components, those outside the hub's component are
+held as queries against all its members, in blocks, by exact counts from an inverted
+index; only links come out.  Small sets get more repetitions, since
 few distinct bins make bands alike.
 
 Special cases: null texts, empty texts and texts without words have an empty set, are
@@ -26,7 +27,7 @@ from pyspark.sql import functions as F
 from ..session import cut
 from . import base, textvec
 
-BINS, ROWS, SMALL, EXTRA = 128, 4, 96, 2
+BINS, ROWS, SMALL, EXTRA, BLOCK = 128, 4, 96, 2, 1_000
 _EMPTY = np.uint64(2**64 - 1)
 _SKETCH = {"doc_id": pa.int64(), "n_shingles": pa.int64(), "hi": pa.int64(), "lo": pa.int64(), "keys": pa.list_(pa.int64())}
 _SKETCH_SCHEMA = "doc_id long, n_shingles long, hi long, lo long, keys array<long>"
@@ -44,9 +45,10 @@ def shingle_sets(data, offsets, k: int) -> tuple[np.ndarray, np.ndarray]:
         whole = np.empty(len(short), np.uint64)
         for i, s in enumerate(short.tolist()):
             x = h[w.first[s] : w.first[s + 1]]
-            whole[i] = x[0]
-            for y in x[1:]:
-                whole[i] = whole[i] * np.uint64(0x9FB21C651E98DF25) + y
+            one = x[:1].copy()
+            for j in range(1, len(x)):
+                one = one * np.uint64(0x9FB21C651E98DF25) + x[j : j + 1]
+            whole[i] = one[0]
         value = np.concatenate([value, textvec.mix(whole + np.uint64(0x1234567))])
         doc = np.concatenate([doc, short])
     order = np.lexsort((value, doc))
@@ -144,6 +146,46 @@ def confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     )
 
 
+_LINK = {"a": pa.int64(), "b": pa.int64()}
+
+
+def _compare_rest(families: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links between members of a family (hub, node, component) that are in different
+    components.  The queries of a family, its members outside the hub's component, are
+    held against all members in blocks of BLOCK; a block counts common shingles by an
+    inverted index and returns, for each query, one link to each component it meets."""
+    stats = families.groupBy("hub").agg(F.count("*").alias("n"), F.max(F.when(F.col("node") == F.col("hub"), F.col("component"))).alias("main"))
+    f = families.join(stats, "hub").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
+    members = f.select("hub", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"), "node", "component", F.lit(False).alias("query"))
+    queries = f.where("component <> main").select("hub", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "node", "component", F.lit(True).alias("query"))
+
+    def compare(group):
+        node, comp = group.column("node").to_numpy(), group.column("component").to_numpy()
+        asked = np.asarray(group.column("query").to_numpy(zero_copy_only=False), bool)
+        lists = group.column("shingles").combine_chunks()
+        offs, flat = lists.offsets.to_numpy(), lists.values.to_numpy()
+        size = np.diff(offs)
+        own = np.flatnonzero(~asked)
+        elements = np.concatenate([flat[offs[i] : offs[i + 1]] for i in own]) if len(own) else flat[:0]
+        holder = np.repeat(np.arange(len(own)), size[own])
+        order = np.argsort(elements, kind="stable")
+        elements, holder = elements[order], holder[order]
+        out = []
+        for q in np.flatnonzero(asked):
+            mine = flat[offs[q] : offs[q + 1]]
+            lo, hi = np.searchsorted(elements, mine, "left"), np.searchsorted(elements, mine, "right")
+            n = hi - lo
+            at = np.repeat(lo - (np.cumsum(n) - n), n) + np.arange(n.sum())
+            met = np.bincount(holder[at], minlength=len(own))
+            good = (met * 100 >= (size[q] + size[own] - met) * percent) & (comp[own] != comp[q])
+            hit = own[good]
+            _, first = np.unique(comp[hit], return_index=True)
+            out += [(int(node[q]), int(node[i])) for i in hit[first]]
+        return pa.table({"a": pa.array([min(p) for p in out], pa.int64()), "b": pa.array([max(p) for p in out], pa.int64())})
+
+    return members.unionByName(queries).join(sets, "node").groupBy("hub", "block").applyInArrow(compare, "a long, b long").distinct()
+
+
 def near_classes(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept, class_id."""
     df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
@@ -160,16 +202,10 @@ def near_classes(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     sets = cut(base.over_texts(df.join(nodes, "doc_id", "left_semi"), _sets(k), "node long, shingles array<long>", "doc_id").dropDuplicates(["node"]))
     links = cut(confirm(stars, sets, percent))
     found = cut(base.components(links))
-    placed = near.select("key", "node").join(found, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    placed = near.join(found, "node", "left").withColumn("component", F.coalesce("component", "node"))
     mixed = placed.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).where("x < y").select("key")
-    rest = placed.join(mixed, "key", "left_semi")
-    rest = cut(rest)
-    pairs = (
-        rest.alias("p").join(rest.alias("q"), (F.col("p.key") == F.col("q.key")) & (F.col("p.component") < F.col("q.component")))
-        .select(F.least("p.node", "q.node").alias("a"), F.greatest("p.node", "q.node").alias("b")).distinct()
-    )
-    pairs = pairs.join(stars, ["a", "b"], "left_anti")
-    more = cut(confirm(pairs, sets, percent))
+    families = placed.join(mixed, "key", "left_semi").select("hub", "node", "component").distinct()
+    more = cut(_compare_rest(families, sets, percent))
     if not more.isEmpty():
         of = lambda side: found.select(F.col("node").alias(side), F.col("component").alias(f"c{side}"))
         lifted = more.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("ca", "a").alias("a"), F.coalesce("cb", "b").alias("b"))
