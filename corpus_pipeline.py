@@ -1,21 +1,72 @@
-"""Corpus pipeline: STAGES of the document operators, each written and read again."""
+"""Corpus pipeline: STAGES of the document operators, each written and read again.
+
+Every stage works on all rows that its predecessor kept and all but the last return the
+columns of documents.  Rows with equal doc_id are one document in the groupings.
+"""
 
 from __future__ import annotations
 
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from motifmill.llm import bpe, decontaminate, exact_dedup, near_dedup, toxicity
 from motifmill.session import checkpoint_folder
 
-STAGES: list = []
+
+def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def _keep(docs: DataFrame, decided: DataFrame) -> DataFrame:
+    """docs without the documents of which decided keeps no row; rows without doc_id stay."""
+    gone = decided.where("doc_id is not null").groupBy("doc_id").agg(F.max("kept").alias("kept")).where("not kept")
+    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the toxicity operator rejects go."""
+    lexicon, model = toxicity.learn(docs, _table(spark, sf_dir, "labels"))
+    return toxicity.keep_clean(docs, lexicon, model)
+
+
+def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of equal texts the row with the smallest doc_id stays."""
+    return _keep(docs, exact_dedup.exact_groups(docs))
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near copies stays: five-word shingles, similarity 0.8."""
+    return _keep(docs, near_dedup.near_classes(docs, k=5, percent=80))
+
+
+def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents with a passage of a benchmark item go."""
+    return decontaminate.keep_clean(docs, _table(spark, sf_dir, "benchmark"))
+
+
+def tokenise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """doc_id, ids, and whether decoding gives the text back."""
+    return bpe.round_trip(docs, *bpe.default_vocabulary())
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("exact_dedup", drop_copies),
+    ("near_dedup", drop_near_copies),
+    ("decontamination", drop_leaks),
+    ("byte_bpe", tokenise),
+]
+
+#: SQL cannot express the learned grammar; tests hold run() against the stages' brute force.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Apply the stages to documents; each result is written as Parquet and reread."""
     folder = f"{checkpoint_folder(spark)}/pipeline-{uuid.uuid4().hex}"
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = _table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
         docs = spark.read.parquet(f"{folder}/{k}")

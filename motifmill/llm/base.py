@@ -39,6 +39,21 @@ def over_texts(df: DataFrame, fn: Callable, schema: str, *keep: str, most: int =
     return df.select("text", *keep).mapInArrow(run, schema)
 
 
+def filter_texts(df: DataFrame, keep: Callable) -> DataFrame:
+    """The rows of df, with all their columns, for whose text keep(data, offsets) is true."""
+    ship(df.sparkSession)
+    at = df.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            data, offsets = textvec.buffers(batch.column(at))
+            good = [keep(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo]) for lo, hi in textvec.pieces(offsets)]
+            if good:
+                yield batch.filter(pa.array(np.concatenate(good)))
+
+    return df.mapInArrow(run, df.schema)
+
+
 def batch(schema: dict[str, pa.DataType], **columns) -> pa.RecordBatch:
     """A RecordBatch from numpy arrays or lists."""
     fields = [pa.field(n, t) for n, t in schema.items()]

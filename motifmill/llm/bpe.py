@@ -289,6 +289,26 @@ def encode(docs: DataFrame, rank_file: bytes, pattern: str) -> DataFrame:
     return base.over_texts(df, run, "doc_id long, ids array<int>", "doc_id")
 
 
+_ROUND = {"doc_id": pa.int64(), "n_tokens": pa.int64(), "ids": pa.list_(pa.int32()), "restored": pa.bool_()}
+
+
+def round_trip(docs: DataFrame, rank_file: bytes, pattern: str) -> DataFrame:
+    """doc_id, n_tokens, ids, and restored: whether the decoded ids are the text's bytes."""
+    vocabulary = docs.sparkSession.sparkContext.broadcast((rank_file, pattern))
+
+    def run(data, offsets, rows):
+        bpe = _bpe(*vocabulary.value)
+        parts: list[list] = [[] for _ in range(len(offsets) - 1)]
+        for i, ids in bpe.runs(base.as_texts(data, offsets)):
+            parts[i].append(ids)
+        ids = [np.concatenate(p) if p else np.zeros(0, np.int32) for p in parts]
+        same = [np.array_equal(bpe.decode(x), data[a:b]) for x, a, b in zip(ids, offsets[:-1], offsets[1:])]
+        return base.batch(_ROUND, doc_id=rows.column(0), n_tokens=[len(x) for x in ids], ids=ids, restored=same)
+
+    df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    return base.over_texts(df, run, "doc_id long, n_tokens long, ids array<int>, restored boolean", "doc_id")
+
+
 def decode(encoded: DataFrame, rank_file: bytes, pattern: str) -> DataFrame:
     """doc_id and text of encoded(doc_id, ids)."""
     ship(encoded.sparkSession)

@@ -208,14 +208,13 @@ _HITS = {"doc_id": pa.int64(), "item_id": pa.int64(), "edits": pa.int64(), "star
 _built: dict[str, Items] = {}
 
 
-def leaks(docs: DataFrame, benchmark: DataFrame, edits: float = EDITS) -> DataFrame:
-    """One row per (document row, item) found: doc_id, item_id, edits, start_word, item_words."""
-    sc = docs.sparkSession.sparkContext
-    df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+def _searchers(benchmark: DataFrame, edits: float) -> list:
+    """search(data, offsets, rows) for each block of items; a block is broadcast."""
+    sc = benchmark.sparkSession.sparkContext
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.coalesce("text", F.lit("")).alias("text"))
     total = items.agg(F.coalesce(F.sum(F.octet_length("text") + 64), F.lit(0)).alias("n")).first()["n"]
     blocks = max(1, -(-total // BLOCK_BYTES))
-    out = None
+    out = []
     for b in range(blocks):
         part = items if blocks == 1 else items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b)
         listed = part.orderBy("item_id").collect()
@@ -227,10 +226,36 @@ def leaks(docs: DataFrame, benchmark: DataFrame, edits: float = EDITS) -> DataFr
                 _built[name] = Items(*pickle.loads(packed.value))
             return _search(_built[name], data, offsets, rows)
 
-        found = base.over_texts(df, run, "doc_id long, item_id long, edits long, start_word long, item_words long", "doc_id")
+        out.append(run)
+    return out
+
+
+def leaks(docs: DataFrame, benchmark: DataFrame, edits: float = EDITS) -> DataFrame:
+    """One row per (document row, item) found: doc_id, item_id, edits, start_word, item_words."""
+    df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    out = None
+    for search in _searchers(benchmark, edits):
+        found = base.over_texts(df, search, "doc_id long, item_id long, edits long, start_word long, item_words long", "doc_id")
         out = found if out is None else out.unionByName(found)
     return out
 
 
+def keep_clean(docs: DataFrame, benchmark: DataFrame, edits: float = EDITS) -> DataFrame:
+    """The rows of docs, all columns, without a passage of any item; narrow."""
+    out = docs
+    for search in _searchers(benchmark, edits):
+
+        def clean(data, offsets, search=search):
+            n = len(offsets) - 1
+            good = np.ones(n, bool)
+            found = search(data, offsets, pa.RecordBatch.from_arrays([pa.array(range(n), pa.int64())], ["row"]))
+            if found is not None:
+                good[found.column(0).to_numpy()] = False
+            return good
+
+        out = base.filter_texts(out, clean)
+    return out
+
+
 def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return leaks(base.table(spark, sf_dir, "documents", "doc_id", "text"), base.table(spark, sf_dir, "benchmark", "item_id", "text"))

@@ -24,6 +24,7 @@ from __future__ import annotations
 
 import math
 import re
+import uuid
 from collections import Counter
 
 import numpy as np
@@ -239,27 +240,41 @@ _built: dict[str, Grammar] = {}
 _SCORES = {"doc_id": pa.int64(), "score": pa.float64()}
 
 
-def score(docs: DataFrame, lexicon: dict[str, float], model: tuple[float, ...]) -> DataFrame:
-    """doc_id, held_out, score, predicted of every document; narrow, no shuffle."""
-    import uuid
-
-    packed = docs.sparkSession.sparkContext.broadcast((lexicon, model))
+def _scorer(spark: SparkSession, lexicon: dict[str, float], model: tuple[float, ...]):
+    """scores(data, offsets) for Python workers; lexicon and model are broadcast."""
+    packed = spark.sparkContext.broadcast((lexicon, model))
     name = uuid.uuid4().hex
 
-    def run(data, offsets, rows):
+    def scores(data, offsets):
         words, weights = packed.value
         if name not in _built:
             _built.clear()
             _built[name] = Grammar(words)
-        grammar, w = _built[name], np.array(weights)
-        x = np.array([grammar.features(t) for t in base.as_texts(data, offsets)]).reshape(-1, 4)
-        return base.batch(_SCORES, doc_id=rows.column(0), score=1 / (1 + np.exp(-np.clip(w[0] + x @ w[1:], -30, 30))))
+        w = np.array(weights)
+        x = np.array([_built[name].features(t) for t in base.as_texts(data, offsets)]).reshape(-1, 4)
+        return 1 / (1 + np.exp(-np.clip(w[0] + x @ w[1:], -30, 30)))
+
+    return scores
+
+
+def score(docs: DataFrame, lexicon: dict[str, float], model: tuple[float, ...]) -> DataFrame:
+    """doc_id, held_out, score, predicted of every document; narrow, no shuffle."""
+    scores = _scorer(docs.sparkSession, lexicon, model)
+
+    def run(data, offsets, rows):
+        return base.batch(_SCORES, doc_id=rows.column(0), score=scores(data, offsets))
 
     df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     out = base.over_texts(df, run, "doc_id long, score double", "doc_id")
     return out.select("doc_id", F.coalesce(is_held_out("doc_id"), F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
+def keep_clean(docs: DataFrame, lexicon: dict[str, float], model: tuple[float, ...]) -> DataFrame:
+    """The rows of docs, all columns, whose score is under 0.5; narrow."""
+    scores = _scorer(docs.sparkSession, lexicon, model)
+    return base.filter_texts(docs, lambda data, offsets: scores(data, offsets) < 0.5)
+
+
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = base.table(spark, sf_dir, "documents", "doc_id", "text")
     return score(docs, *learn(docs, base.table(spark, sf_dir, "labels", "doc_id", "toxic")))
