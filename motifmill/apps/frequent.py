@@ -43,6 +43,19 @@ def _shapes() -> dict[int, dict[int, tuple[str, list[int]]]]:
     return {2: _by_degree(2, 1), 3: _by_degree(3, 2) | _by_degree(3, 3), 4: _by_degree(4, 3)}
 
 
+def shape_name(mask: int, labels: list[int]) -> str:
+    """Pattern text of local positions with labels, as named() gives it."""
+    shape, places = _shapes()[len(labels)][mask]
+    word = [labels[p] for p in places]
+    if shape in ("edge", "triangle"):
+        word.sort()
+    elif shape == "3-path":
+        word = min(word, word[::-1])
+    else:
+        word[1:] = sorted(word[1:])
+    return f"{shape}:" + "-".join(map(str, word))
+
+
 def named(level: DataFrame) -> DataFrame:
     """level with shape, own (struct(label, vid) in canonical order) and pattern text.
 
@@ -99,14 +112,111 @@ def domains_generic(level: DataFrame) -> DataFrame:
     return both.select("pattern", F.explode(F.arrays_zip("orbits", "vids")).alias("d")).select("pattern", F.col("d.orbits").alias("orbit"), F.col("d.vids").alias("vid"))
 
 
-def mine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str = "rows", kind: str = "mni", unsafe: bool = False) -> DataFrame:
-    """n_edges, pattern, support of every frequent pattern up to max_edges edges."""
+# -- shape plans: the same patterns by joins per shape, all inside generated code ----------
+
+BITS = 12
+SHAPES = {1: ("edge", 2), 2: ("wedge", 3), 3: ("triangle", 3), 4: ("3-star", 4), 5: ("3-path", 4)}
+
+
+def _pack(shape: int, *labels: Column) -> Column:
+    out = F.lit(shape << 4 * BITS).cast("long")
+    for i, x in enumerate(labels):
+        out = out + x.cast("long") * (1 << (3 - i) * BITS)
+    return out
+
+
+def _unpack(pid: Column) -> Column:
+    part = lambda i: F.shiftright(pid, (3 - i) * BITS).bitwiseAND((1 << BITS) - 1).cast("string")
+    name = F.lit(None).cast("string")
+    for shape, (text, k) in SHAPES.items():
+        name = F.when(F.shiftright(pid, 4 * BITS) == shape, F.concat(F.lit(text + ":"), F.concat_ws("-", *[part(i) for i in range(k)]))).otherwise(name)
+    return name
+
+
+def _below(x: Column, *others: Column) -> Column:
+    """How many of others are smaller: the place of x in the sorted labels."""
+    return sum(((o < x).cast("int") for o in others), F.lit(0))
+
+
+def _places(df: DataFrame, pid: Column, *places: tuple[Column, Column]) -> DataFrame:
+    rows = F.array(*[F.struct(o.cast("int").alias("orbit"), v.alias("vid")) for o, v in places])
+    return df.select(pid.alias("pattern"), F.explode(rows).alias("d")).select("pattern", "d.orbit", "d.vid")
+
+
+def _kept(df: DataFrame, pid: Column, keep: DataFrame) -> DataFrame:
+    return df.withColumn("_pid", pid).join(F.broadcast(keep.select(F.col("pattern").alias("_pid"))), "_pid", "left_semi").drop("_pid")
+
+
+def _sorted3(a: Column, b: Column, c: Column) -> tuple[Column, Column, Column]:
+    low, high = F.least(a, b, c), F.greatest(a, b, c)
+    return low, a + b + c - low - high, high
+
+
+def _mine_shapes(graph: PropertyGraph, max_edges: int, sigma: int, support_of) -> DataFrame:
+    e = graph.labelled_edges()
+    arcs = e.select("src", "dst", F.col("la").alias("ls"), F.col("lb").alias("ld")).unionByName(e.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.col("lb").alias("ls"), F.col("la").alias("ld")))
+    arcs = cut(arcs)
+    c = F.col
+    edge_id = _pack(1, F.least("ls", "ld"), F.greatest("ls", "ld"))
+    found = support_of(_places(arcs, edge_id, (_below(c("ls"), c("ld")), c("src"))))
+    keep1 = cut(found.where(c("support") >= sigma))
+    out = keep1.withColumn("n_edges", F.lit(1))
+    if max_edges > 1:
+        arcs = cut(_kept(arcs, edge_id, keep1))
+        first = arcs.select(c("src").alias("c"), c("ls").alias("lc"), c("dst").alias("a"), c("ld").alias("la"))
+        second = arcs.select(c("src").alias("c"), c("dst").alias("b"), c("ld").alias("lb"))
+        wedge = first.join(second, "c").where("a < b")
+        wedge_id = _pack(2, c("lc"), F.least("la", "lb"), F.greatest("la", "lb"))
+        found = support_of(_places(wedge, wedge_id, (F.lit(0), c("c")), (1 + _below(c("la"), c("lb")), c("a")), (1 + _below(c("lb"), c("la")), c("b"))))
+        keep2 = cut(found.where(c("support") >= sigma))
+        out = out.unionByName(keep2.withColumn("n_edges", F.lit(2)))
+    if max_edges > 2:
+        wedge = _kept(wedge, wedge_id, keep2)
+        third = arcs.select(c("src").alias("c"), c("dst").alias("z"), c("ld").alias("lz"))
+        star = wedge.join(third, "c").where("z > b")
+        star_id = _pack(4, c("lc"), *_sorted3(c("la"), c("lb"), c("lz")))
+        stars = _places(star, star_id, (F.lit(0), c("c")), *[(1 + _below(c(x), *[c(y) for y in ("la", "lb", "lz") if y != x]), c(v)) for x, v in (("la", "a"), ("lb", "b"), ("lz", "z"))])
+        close = arcs.select(c("src").alias("a"), c("dst").alias("b"))
+        triangle = wedge.where("c < a").join(close, ["a", "b"])
+        tri_id = _pack(3, *_sorted3(c("lc"), c("la"), c("lb")))
+        triangles_ = _places(triangle, tri_id, *[(_below(c(x), *[c(y) for y in ("lc", "la", "lb") if y != x]), c(v)) for x, v in (("lc", "c"), ("la", "a"), ("lb", "b"))])
+        # a path is its middle edge p < q with an outer neighbour on either side; both wedges must be frequent
+        hop = first.join(arcs.select(c("src").alias("c"), c("dst").alias("o"), c("ld").alias("lo")), "c").where("a <> o")
+        hop = _kept(hop, _pack(2, c("lc"), F.least("la", "lo"), F.greatest("la", "lo")), keep2)
+        left = hop.where("c < a").select(c("c").alias("p"), c("a").alias("q"), c("lc").alias("lp"), c("la").alias("lq"), c("o").alias("x"), c("lo").alias("lx"))
+        right = hop.where("c > a").select(c("a").alias("p"), c("c").alias("q"), c("o").alias("y"), c("lo").alias("ly"))
+        path = left.join(right, ["p", "q"]).where("x <> y")
+        ahead = (c("lx") < c("ly")) | ((c("lx") == c("ly")) & (c("lp") <= c("lq")))
+        same = (c("lx") == c("ly")) & (c("lp") == c("lq"))
+        pick = lambda a, b: F.when(ahead, c(a)).otherwise(c(b))
+        path_id = _pack(5, pick("lx", "ly"), pick("lp", "lq"), pick("lq", "lp"), pick("ly", "lx"))
+        place = lambda i: F.when(same, F.lit(min(i, 3 - i))).otherwise(F.when(ahead, F.lit(i)).otherwise(F.lit(3 - i)))
+        paths = _places(path, path_id, (place(0), c("x")), (place(1), c("p")), (place(2), c("q")), (place(3), c("y")))
+        found = support_of(stars.unionByName(triangles_).unionByName(paths))
+        out = out.unionByName(found.where(c("support") >= sigma).withColumn("n_edges", F.lit(3)))
+    return out.select("n_edges", _unpack(c("pattern")).alias("pattern"), "support")
+
+
+def mine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str = "rows", kind: str = "mni", unsafe: bool = False, plan: str = "shapes") -> DataFrame:
+    """n_edges, pattern, support of every frequent pattern of up to max_edges (1-3) edges.
+
+    plan: `shapes` joins shape by shape; `engine` grows edge by edge in the level engine.
+    Both drop what has an infrequent part before they grow it."""
     if kind not in ("mni", "mni_approx", "frequency"):
         raise ValueError(f"unknown support {kind!r}")
     if kind == "frequency" and not unsafe:
         raise ValueError("frequency is not anti-monotone; pass unsafe=True")
-    if max_edges < 1:
-        raise ValueError("a pattern has at least one edge")
+    if not 1 <= max_edges <= 3:
+        raise ValueError("patterns of 1 to 3 edges are covered")
+    if plan == "shapes" and kind != "frequency":
+        top = graph.vertex_labels().agg(F.min("label").alias("x"), F.max("label").alias("y")).first()
+        if top["x"] is not None and (top["x"] < 0 or top["y"] >= 1 << BITS):
+            raise ValueError(f"labels outside 0..{(1 << BITS) - 1} need plan='engine'")
+        return _mine_shapes(graph, max_edges, sigma, lambda d: support.mni(d, "approx" if kind == "mni_approx" else mode))
+    return _mine_engine(graph, max_edges, sigma, mode, kind)
+
+
+def _mine_engine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str, kind: str) -> DataFrame:
     app = AppSpec(mode="edge")
     level, out, g = engine.seed(graph, app), None, graph
     for n in range(1, max_edges + 1):

@@ -108,7 +108,12 @@ def listing(graph: PropertyGraph, k: int, method: str = "carry", connectivity: s
 
 
 def count(graph: PropertyGraph, k: int, how: str = "custom", method: str = "carry", connectivity: str = "join", materialize_candidates: bool = False) -> DataFrame:
-    """pattern, n with a row for every pattern of k vertices, 0 included."""
+    """pattern, n with a row for every pattern of k vertices, 0 included.
+
+    method: `carry` and `engine` enumerate; `formula` derives counts of 3 and 4 vertices;
+    `auto` takes the formula where there is one, as only counts are asked for."""
+    if method == "auto":
+        method = "formula" if k in (3, 4) else "carry"
     if method == "formula":
         from ..baselines import formula_motifs
 

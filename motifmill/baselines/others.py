@@ -272,24 +272,59 @@ def frequency_fsm(graph: PropertyGraph, max_edges: int, sigma: int) -> DataFrame
 # -- recursive frequent-subgraph miner --------------------------------------
 
 
-def recursive_frequent(graph: PropertyGraph, max_edges: int, sigma: int) -> DataFrame:
-    """Depth first over root edge patterns: a root mines what contains it and no earlier
-    root, in its own recursion; supports of all matches come from one final check."""
-    level = frequent.named(engine.seed(graph, AppSpec(mode="edge")))
-    level = cut(level.select("vids", "labels", "edges", "mask", "pattern", "shape", "own"))
-    first = frequent.mine(graph, 1, sigma)
-    roots = [r["pattern"] for r in first.orderBy("pattern").select("pattern").collect()]  # an alphabet's worth
-    out, candidates = first, None
-    left = level
-    for root in roots:
-        edges = left.where(F.col("pattern").isin(roots)).select(F.col("vids")[0].alias("src"), F.col("vids")[1].alias("dst"))
-        g = PropertyGraph(cut(edges), graph.labels)
-        found = frequent.mine(g, max_edges, 1) if max_edges > 1 else None
-        if found is not None:
-            part = cut(found.where("n_edges > 1").select("n_edges", "pattern"))
-            candidates = part if candidates is None else candidates.unionByName(part)
-        left = left.where(F.col("pattern") != root)
-    if candidates is not None:
-        whole = frequent.mine(graph, max_edges, sigma)
-        out = out.unionByName(whole.where("n_edges > 1").join(candidates.distinct(), ["n_edges", "pattern"], "left_semi").select("n_edges", "pattern", "support"))
+def _grown(matches: DataFrame, arcs: DataFrame, k: int, mask: int) -> DataFrame:
+    """All one-edge extensions of ordered matches: at (position), new label and vertex, or
+    the pair bit that an edge closes (then u is null)."""
+    vids = [f"v{i}" for i in range(k)]
+    out = None
+    for i in range(k):
+        step = arcs.select(F.col("src").alias(vids[i]), F.col("dst").alias("u"), F.col("ld").alias("lu"))
+        new = matches.join(step, vids[i]).select(*vids, "u", F.lit(i).alias("at"), "lu", F.lit(-1).alias("bit"))
+        for v in vids:
+            new = new.where(F.col("u") != F.col(v))
+        out = new if out is None else out.unionByName(new)
+    for b, (i, j) in enumerate(patterns.pairs(k)):
+        if not mask >> b & 1:
+            close = matches.join(arcs.select(F.col("src").alias(vids[i]), F.col("dst").alias(vids[j])), [vids[i], vids[j]], "left_semi")
+            out = out.unionByName(close.select(*vids, F.lit(None).cast("long").alias("u"), F.lit(-1).alias("at"), F.lit(None).cast("int").alias("lu"), F.lit(b).alias("bit")))
     return out
+
+
+def recursive_frequent(graph: PropertyGraph, max_edges: int, sigma: int) -> DataFrame:
+    """Depth first, pattern by pattern: a frequent pattern's ordered matches are extended by
+    one edge, the extensions' supports are counted over all mappings (so no orbits are
+    needed), and each frequent pattern not met before is visited in its turn."""
+    e = graph.labelled_edges()
+    arcs = cut(e.select("src", "dst", F.col("la").alias("ls"), F.col("lb").alias("ld")).unionByName(e.select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.col("lb").alias("ls"), F.col("la").alias("ld"))))
+    met: dict[str, tuple[int, int]] = {}
+
+    def visit(n_edges: int, mask: int, labels: list[int], matches: DataFrame) -> None:
+        if n_edges == max_edges:
+            return
+        k = len(labels)
+        grown = _grown(matches, arcs, k, mask)
+        counts = grown.groupBy("at", "lu", "bit").agg(*[F.count_distinct(v).alias(v) for v in [*(f"v{i}" for i in range(k)), "u"]])
+        for row in counts.collect():  # a row for each extension of one pattern
+            domains = [row[f"v{i}"] for i in range(k)] + ([row["u"]] if row["bit"] < 0 else [])
+            if min(domains) < sigma:
+                continue
+            if row["bit"] < 0:
+                child, own = mask | 1 << patterns.offset(k) + row["at"], [*labels, row["lu"]]
+            else:
+                child, own = mask | 1 << row["bit"], labels
+            name = frequent.shape_name(child, own)
+            if name in met:
+                continue
+            met[name] = (n_edges + 1, min(domains))
+            if n_edges + 1 < max_edges:
+                picked = grown.where((F.col("bit") == row["bit"]) & (F.col("at") == row["at"]) & F.col("lu").eqNullSafe(F.lit(row["lu"])))
+                names = [F.col(f"v{i}") for i in range(k)] + ([F.col("u").alias(f"v{k}")] if row["bit"] < 0 else [])
+                visit(n_edges + 1, child, own, cut(picked.select(*names)))
+
+    roots = arcs.where("ls <= ld").groupBy("ls", "ld").agg(F.count_distinct("src").alias("x"), F.count_distinct("dst").alias("y"))
+    for row in roots.orderBy("ls", "ld").collect():  # an alphabet's worth of rows
+        if min(row["x"], row["y"]) >= sigma:
+            met[frequent.shape_name(1, [row["ls"], row["ld"]])] = (1, min(row["x"], row["y"]))
+            visit(1, 1, [row["ls"], row["ld"]], arcs.where((F.col("ls") == row["ls"]) & (F.col("ld") == row["ld"])).select(F.col("src").alias("v0"), F.col("dst").alias("v1")))
+    rows = [(n, name, s) for name, (n, s) in met.items()]
+    return graph.edges.sparkSession.createDataFrame(rows, "n_edges int, pattern string, support long")

@@ -122,6 +122,8 @@ for how in ("two_step", "memo", "spectrum"):
     add(f"abl_mc_{how}", on("copart_r", lambda g, how=how: motifs.count(g, 4, how=how)), mc4_sql("copart_r"))
 add("abl_mc_generic", on("comin", lambda g: motifs.count(g, 4, how="generic", method="engine")), mc4_sql("comin"))
 add("abl_mat", on("comin", lambda g: motifs.count(g, 4, method="engine", materialize_candidates=True)), mc4_sql("comin"))
+for k, g, sql in ((3, "copart_full", mc3_sql), (4, "nextline", mc4_sql)):
+    add(f"mc{k}_auto_{g}", on(g, lambda g, k=k: motifs.count(g, k, method="auto")), sql(g))
 add("mc5_comin", on("comin", lambda g: motifs.count(g, 5)))
 add("mc3_list_comin", on("comin", lambda g: motifs.listing(g, 3).select(F.array_sort(F.array("v0", "v1", "v2")).cast("string").alias("vids"), F.bit_count("mask").cast("int").alias("edges"))),
     f"WITH e AS ({graphs.SQL['comin']}), r AS (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e) "
@@ -150,6 +152,8 @@ for label, sigmas in (("type", (100, 200, 250, 300)), ("brand", (10, 20, 30))):
 for label, sigmas in (("type", (100, 200, 250)), ("brand", (10, 20))):
     for s in sigmas:
         add(f"fsm4_{label}_s{s}", on("copart_r", lambda g, s=s: frequent.mine(g, 3, s), f"p_{label}"), fsm_sql("copart_r", f"p_{label}", 3, s))
+for edges, s in ((2, 200), (3, 250)):
+    add(f"fsm{edges + 1}_engine_s{s}", on("copart_r", lambda g, n=edges, s=s: frequent.mine(g, n, s, plan="engine"), "p_type"), fsm_sql("copart_r", "p_type", edges, s))
 for mode in ("set", "bitmap", "udaf"):
     add(f"fsm3_support_{mode}", on("copart_r", lambda g, m=mode: frequent.mine(g, 2, 200, mode=m), "p_type"), fsm_sql("copart_r", "p_type", 2, 200))
 add("fsm3_support_approx", on("copart_r", lambda g: frequent.mine(g, 2, 200, kind="mni_approx"), "p_type"))
@@ -197,7 +201,8 @@ add("h3_cf4", on("copart_r", lambda g: others.local_graph_cliques(g, 4)), clique
 add("h3_cf5", on("doc_line", lambda g: others.local_graph_cliques(g, 5)), clique_sql("doc_line", 5))
 add("h4_mc3", on("nextline", formula_motifs.count3), mc3_sql("nextline"))
 add("h4_mc4", on("copart_r", formula_motifs.count4), mc4_sql("copart_r"))
-add("h6_fsm3", on("copart_r", lambda g: others.recursive_frequent(g, 2, 300), "p_type"), fsm_sql("copart_r", "p_type", 2, 300))
+add("h6_fsm3", on("copart_r", lambda g: others.recursive_frequent(g, 2, 250), "p_type"), fsm_sql("copart_r", "p_type", 2, 250))
+add("h6_fsm4", on("copart_r", lambda g: others.recursive_frequent(g, 3, 290), "p_type"), fsm_sql("copart_r", "p_type", 3, 290))
 
 # -- engine parts ------------------------------------------------------------
 
