@@ -8,6 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from . import measures
 from .apps import cliques, frequent, motifs, triangles
 from .baselines import formula_motifs, others
 from .graph import PropertyGraph, dense_ids, label_dictionary
@@ -284,6 +285,48 @@ add("example_grow", example_grow, "SELECT * FROM (VALUES ('[0, 1, 2]'), ('[0, 1,
 add("example_auto", example_auto, "SELECT '[2, 5, 3, 4]' AS vids")
 add("example_mni", example_mni, "SELECT 'wedge:2-1-3' AS pattern, 1::BIGINT AS support")
 
+# -- measures ------------------------------------------------------------------
+
+
+def measure_speedup(spark, sf_dir):
+    """Geometric mean of published seconds of one framework over the published engine."""
+    ours = {"tc": 0.02, "cf3": 0.04, "cf4": 1.6, "cf5": 60.5, "mc3": 0.2, "mc4": 175.6}
+    theirs = {"tc": 30.8, "cf3": 32.2, "cf4": 41.7, "cf5": 311.9, "mc3": 36.1, "mc4": 353.0}
+    return spark.createDataFrame([(round(measures.geo_speedup(ours, theirs), 6),)], "speedup double")
+
+
+def measure_complexity(spark, sf_dir):
+    """Worst-case work of growing the co-return graph to 3, 4 and 5 vertices."""
+    row = graphs.load(spark, sf_dir, "copart_r").stats().first()
+    return spark.createDataFrame([(k, planning.upper_bound(row["n_vertices"], k, row["max_degree"])) for k in (3, 4, 5)], "k int, work double")
+
+
+def measure_effort(spark, sf_dir):
+    """Lines of code of the applications against the depth-first baselines."""
+    lines = {"triangles.count": measures.loc_of(triangles.count), "cliques.app_for": measures.loc_of(cliques.app_for), "dfs_cliques": measures.loc_of(others.dfs_cliques), "dfs_motifs": measures.loc_of(others.dfs_motifs)}
+    return spark.createDataFrame(sorted(lines.items()), "code string, lines int")
+
+
+def measure_level_rows(spark, sf_dir):
+    """Rows of each level of the enumeration, two to four vertices."""
+    g = graphs.load(spark, sf_dir, "comin")
+    return spark.createDataFrame([(s["size"], s["rows"]) for s in engine.mine(g, AppSpec(), 4, collect_stats=True).stats], "size int, n long")
+
+
+def measure_sketch_error(spark, sf_dir):
+    """Largest relative error of sketched supports against exact ones."""
+    g = graphs.load(spark, sf_dir, "copart_r", "p_type")
+    d = frequent.domains(frequent.named(engine.seed(g, AppSpec(mode="edge"))))
+    both = support.mni(d).join(support.mni(d, "approx").withColumnRenamed("support", "guess"), "pattern")
+    return both.agg(F.max(F.abs(F.col("guess") - F.col("support")) / F.col("support")).alias("error"))
+
+
+add("measure_speedup", measure_speedup, "SELECT round(exp((ln(30.8 / 0.02) + ln(32.2 / 0.04) + ln(41.7 / 1.6) + ln(311.9 / 60.5) + ln(36.1 / 0.2) + ln(353.0 / 175.6)) / 6), 6) AS speedup")
+add("measure_complexity", measure_complexity)
+add("measure_effort", measure_effort)
+add("measure_level_rows", measure_level_rows, f"WITH c AS ({mc3_sql('comin')}), d AS ({mc4_sql('comin')}) SELECT 2::INT AS size, (SELECT count(*) FROM ({graphs.SQL['comin']})) AS n UNION ALL SELECT 3, (SELECT sum(n)::BIGINT FROM c) UNION ALL SELECT 4, (SELECT sum(n)::BIGINT FROM d)")
+add("measure_sketch_error", measure_sketch_error)
+
 for part in (relational, sqlsurface, events):
     for name, (query, sql) in part.queries().items():
         add(name, query, sql)

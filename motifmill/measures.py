@@ -5,6 +5,7 @@ from __future__ import annotations
 import ast
 import inspect
 import math
+import textwrap
 import time
 from collections.abc import Callable
 from dataclasses import dataclass
@@ -95,7 +96,7 @@ def loc_of(*objects) -> int:
     """Lines of code of functions or modules, without comments, blank lines and docstrings."""
     n = 0
     for o in objects:
-        tree = ast.parse(inspect.cleandoc(inspect.getsource(o)))
+        tree = ast.parse(textwrap.dedent(inspect.getsource(o)))
         for node in ast.walk(tree):
             if isinstance(node, (ast.FunctionDef, ast.ClassDef, ast.Module)) and node.body and isinstance(node.body[0], ast.Expr) and isinstance(node.body[0].value, ast.Constant):
                 node.body[0].value.value = ""
