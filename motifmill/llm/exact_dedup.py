@@ -101,7 +101,8 @@ def exact_groups(docs: DataFrame) -> DataFrame:
     ranks = chunks.join(shared, "fps", "left_semi").select("fps", "digests").distinct().withColumn("rank", F.row_number().over(Window.partitionBy("fps").orderBy("digests")))
     fixes = chunks.join(ranks, ["fps", "digests"]).where("rank > 1").groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("seq", "rank"))).alias("fixes"))
     listed = r.drop("digests").join(fixes, "doc_id", "left").withColumn("recipe", F.struct("fps", F.coalesce("fixes", F.array().cast("array<struct<seq:int,rank:int>>")).alias("fixes")))
-    groups = listed.groupBy("recipe").agg(F.min("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
+    # cut, so that both sides of the join are dealt anew and a very large group can be split there
+    groups = cut(listed.groupBy("recipe").agg(F.min("doc_id").alias("keep_id"), F.count("*").alias("group_size")))
     return listed.join(groups, "recipe").select(
         "doc_id", "keep_id", "group_size", F.coalesce(F.col("doc_id") == F.col("keep_id"), F.lit(False)).alias("kept"), "text_sha256", F.size("fps").alias("n_chunks"),
     )

@@ -191,7 +191,8 @@ def near_classes(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     sketch = cut(base.over_texts(df, _sketch(k), _SKETCH_SCHEMA, "doc_id"))
     same = ["hi", "lo", "n_shingles"]
-    classes = sketch.where("n_shingles > 0 and doc_id is not null").groupBy(*same).agg(F.min("doc_id").alias("class_id"))
+    # cut, so that both sides of the join below are dealt anew and a very large class can be split there
+    classes = cut(sketch.where("n_shingles > 0 and doc_id is not null").groupBy(*same).agg(F.min("doc_id").alias("class_id")))
     members = cut(sketch.drop("keys").join(classes, same, "left"))
     speakers = members.where("doc_id = class_id").select("doc_id").distinct()
     bands = sketch.join(speakers, "doc_id", "left_semi").select(F.col("doc_id").alias("node"), F.explode("keys").alias("key"))
