@@ -83,7 +83,8 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
     for _ in range(most_rounds):
         # large star: every larger neighbour of a node points at the node's smallest neighbour
         both = e.select(F.col("hi").alias("n"), F.col("lo").alias("m")).unionByName(e.select(F.col("lo").alias("n"), F.col("hi").alias("m")))
-        least = both.groupBy("n").agg(F.least(F.min("m"), F.first("n")).alias("root"))
+        # cut, so that the join deals both sides anew and AQE can split a hub's rows
+        least = cut(both.groupBy("n").agg(F.min("m").alias("root")).withColumn("root", F.least("n", "root")))
         large = both.where("m > n").join(least, "n").select(F.col("m").alias("hi"), F.col("root").alias("lo")).where("hi <> lo").distinct()
         # small star: a node and its smaller neighbours point at the smallest of them
         small = large.groupBy("hi").agg(F.min("lo").alias("root"))
