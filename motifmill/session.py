@@ -28,7 +28,8 @@ ARROW_BATCH_BYTES = 4 << 20
 
 
 def ship(spark: SparkSession) -> None:
-    """Give this package to Python workers, which may not see the driver's folders.
+    """Give this package to Python workers, which may not see the driver's folders: Spark's
+    own file server hands the archive out, no worker reads the path it was made at.
 
     Also bounds Arrow batches in bytes, unless the session says otherwise: their default
     bound counts rows only, which very long texts outgrow.
