@@ -285,6 +285,58 @@ add("example_grow", example_grow, "SELECT * FROM (VALUES ('[0, 1, 2]'), ('[0, 1,
 add("example_auto", example_auto, "SELECT '[2, 5, 3, 4]' AS vids")
 add("example_mni", example_mni, "SELECT 'wedge:2-1-3' AS pattern, 1::BIGINT AS support")
 
+def example_reduce(spark, sf_dir):
+    """Three embeddings fold to two triangles and a wedge."""
+    level = spark.createDataFrame([(0, 1, 2, 7), (1, 2, 3, 7), (2, 3, 4, 3)], "v0 long, v1 long, v2 long, mask int")
+    return engine.aggregate(level, 3, AppSpec(classify=lambda d, n: motifs.classify(d, n, "custom")))
+
+
+add("example_reduce", example_reduce, "SELECT * FROM (VALUES ('triangle', 2::BIGINT), ('wedge', 1::BIGINT)) t(pattern, support)")
+
+
+# -- more of the surroundings -----------------------------------------------------
+
+
+def sink_listing(fmt: str):
+    """Write a clique listing in a format and read it back."""
+
+    def query(spark, sf_dir):
+        listed = cliques.listing(graphs.load(spark, sf_dir, "copart_r"), 4, orient="id")
+        path = relational.round_trip(listed, fmt)
+        return spark.read.schema("v0 long, v1 long, v2 long, v3 long").format(fmt).load(path)
+
+    return query
+
+
+for fmt in ("parquet", "csv", "json"):
+    add(f"op_sink_listing_{fmt}", sink_listing(fmt), clique_sql("copart_r", 4, "{0} AS v0, {1} AS v1, {2} AS v2, {3} AS v3"))
+
+
+def table_catalog(spark, sf_dir):
+    """Views of a registered graph with their row counts."""
+    sqlsurface.register(spark, graphs.load(spark, sf_dir, "comin"), "gc")
+    out = None
+    for view in ("gc_edges", "gc_arcs", "gc_oriented", "gc_degrees"):
+        part = spark.sql(f"SELECT '{view}' AS view, count(*) AS n FROM {view}")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+add("op_table_catalog", table_catalog, f"WITH e AS ({graphs.SQL['comin']}) SELECT 'gc_edges' AS view, count(*) AS n FROM e UNION ALL SELECT 'gc_arcs', 2 * count(*) FROM e UNION ALL SELECT 'gc_oriented', count(*) FROM e "
+    "UNION ALL SELECT 'gc_degrees', count(*) FROM (SELECT src FROM e UNION SELECT dst FROM e)")
+add("op_normalise", lambda spark, sf_dir: relational_pairs(spark, sf_dir), "SELECT DISTINCT least(l_partkey, l_suppkey) AS src, greatest(l_partkey, l_suppkey) AS dst FROM lineitem WHERE l_partkey <> l_suppkey")
+add("op_map_arrow", on("comin", lambda g: connect.position_bits(g.edges.select(F.col("src").alias("v0"), F.col("dst").alias("u")), 1, g, "binary").select("v0", "u", "bits")), f"SELECT src AS v0, dst AS u, 1::INT AS bits FROM ({graphs.SQL['comin']})")
+add("op_apply_group", on("comin", lambda g: others.local_graph_cliques(g, 3)), clique_sql("comin", 3))
+add("op_udaf_mni", on("copart_r", lambda g: support.mni(frequent.domains(frequent.named(engine.seed(g, AppSpec(mode="edge")))), "udaf"), "p_type"), f"SELECT pattern, support FROM ({fsm_sql('copart_r', 'p_type', 1, 0)})")
+add("op_topk_patterns", on("copart_r", lambda g: relational.top_k(frequent.mine(g, 2, 200), [F.desc("support"), "pattern"], 10), "p_type"), f"SELECT * FROM ({fsm_sql('copart_r', 'p_type', 2, 200)}) ORDER BY support DESC, pattern LIMIT 10")
+
+
+def relational_pairs(spark, sf_dir):
+    from .graph import normalise
+
+    return normalise(graphs.table(spark, sf_dir, "lineitem", ["l_partkey", "l_suppkey"]), "l_partkey", "l_suppkey")
+
+
 # -- measures ------------------------------------------------------------------
 
 

@@ -215,10 +215,18 @@ def queries() -> dict:
     add("op_scalar_json", of("events", lambda df: df.select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"), F.from_json("props", "k long")["k"].alias("j"))), "SELECT event_id, (props::JSON->>'$.k')::BIGINT AS k, (props::JSON->>'$.k')::BIGINT AS j FROM events")
     add("op_scalar_html", of("pages", lambda df: df.select("page_id", F.size(F.expr("regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)")).alias("links"))), "SELECT page_id, len(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))::INT AS links FROM pages")
     add("op_scalar_null", of("customer", lambda df: df.select("c_custkey", F.coalesce(F.nullif("c_mktsegment", F.lit("BUILDING")), F.lit("none")).alias("s"), F.greatest("c_nationkey", F.lit(10)).alias("g"))), "SELECT c_custkey, coalesce(nullif(c_mktsegment, 'BUILDING'), 'none') AS s, greatest(c_nationkey, 10) AS g FROM customer")
+    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0).cast("long"), lambda t, v: t + v)
+    add("op_scalar_vector", lambda s, d: (lambda v: v.alias("x").join(v.alias("y"), F.expr("y.vec_id = x.vec_id + 1")).select(F.col("x.vec_id").alias("vec_id"), F.round(dot(F.col("x.q"), F.col("y.q")) / F.sqrt(dot(F.col("x.q"), F.col("x.q")).cast("double") * dot(F.col("y.q"), F.col("y.q")).cast("double")), 9).alias("cosine")))(_quantised(T(s, d, "embeddings", ["vec_id", "embedding"]))),
+        "WITH v AS (SELECT vec_id, list_transform(embedding, lambda e: floor(e::DOUBLE * 1000)) AS q FROM embeddings) SELECT x.vec_id, round(list_dot_product(x.q, y.q) / sqrt(list_dot_product(x.q, x.q) * list_dot_product(y.q, y.q)), 9) AS cosine FROM v x JOIN v y ON y.vec_id = x.vec_id + 1")
+    add("op_scalar_text", of("documents", lambda df: df.select("doc_id", F.size(F.split("text", "\n")).alias("lines"), F.char_length("text").alias("chars"))), "SELECT doc_id, len(string_split(text, chr(10)))::INT AS lines, length(text)::INT AS chars FROM documents")
     add("op_udf_canon", _udf_canon)
     return out
 
 
+def _quantised(df):
+    return df.select("vec_id", F.transform("embedding", lambda e: F.floor(e.cast("double") * 1000).cast("long")).alias("q"))
+
+
 def _per_vertex(spark, sf_dir):
     from ..apps import triangles
 
