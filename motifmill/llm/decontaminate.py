@@ -1,12 +1,13 @@
 """Benchmark decontamination: edit-tolerant search of benchmark items in documents.
 
-Items and documents are sequences of words (runs of non-space bytes, lower-cased A-Z).  A
-passage matches an item when their word edit distance is at most EDITS of the item's
-length.  Search: a random walk per repetition (CGK: at each step emit the
-current word and move on if a hash of step and word says so) embeds edit distance into
-Hamming distance; sampled positions of the walk are hashed to LSH keys; windows that
-share a key with an item of their length are candidates; exact edit distance to the best
-passage of the window and its surroundings decides.
+Items and documents are sequences of words (runs of letters, digits and non-ASCII bytes,
+lower-cased A-Z; case and punctuation do not count).  A passage matches an item when
+their word edit distance is at most EDITS of the item's length.  Search: a random walk
+per repetition (CGK: at each step emit the current word and move on if a hash of step and
+word says so) embeds edit distance into Hamming distance; sampled positions of the walk
+are hashed to LSH keys; windows that share a key with an item of their length are
+candidates; exact edit distance to the best passage of the window and its surroundings
+decides.
 Only windows around enough three-word sequences of the item are embedded: a match keeps
 at least n - 2 - 3k of them near its place (one, of at most three words, by the
 pigeonhole rule for short items), so this loses no match.
@@ -35,6 +36,9 @@ from . import base, textvec
 
 EDITS, GRAM, WALKS, REPEATS, SAMPLES, BLOCK_BYTES = 0.2, 3, 6, 8, 2, 8 << 20
 _PAD = np.uint64(0)
+#: bytes as they are compared: A-Z lower-cased, ASCII punctuation and control characters as space
+FOLD = textvec.LOWER.copy()
+FOLD[[b for b in range(128) if not chr(b).isalnum()]] = 0x20
 
 
 def walk(rows: np.ndarray, seed: int) -> np.ndarray:
@@ -89,7 +93,7 @@ class Items:
     def __init__(self, ids: list[int], texts: list[str], edits: float = EDITS):
         raw = [(t or "").encode() for t in texts]
         offsets = np.concatenate([[0], np.cumsum([len(x) for x in raw])]).astype(np.int64)
-        w = textvec.Words(np.frombuffer(b"".join(raw), np.uint8), offsets, lower=True)
+        w = textvec.Words(FOLD[np.frombuffer(b"".join(raw), np.uint8)], offsets)
         h, first = w.hashes(), w.first
         self.edits = edits
         self.ids, self.words, anchors = [], [], []
@@ -129,7 +133,7 @@ class Items:
 
 
 def _search(items: Items, data, offsets, rows):
-    w = textvec.Words(data, offsets, lower=True)
+    w = textvec.Words(FOLD[data], offsets)
     h, first = w.hashes(), w.first
     starts: dict[int, list[np.ndarray]] = {}
     for run, (seen, value, q, item) in items.runs.items():
