@@ -44,13 +44,15 @@ def classify(level: DataFrame, size: int, how: str = "two_step") -> DataFrame:
 
 def _candidates(size: int, h: int) -> Column:
     """Vertices that join at position h as the first adjacent one, by the canonical rule."""
-    taken = F.array(*[F.col(f"v{j}") for j in range(size)])
-    new = F.array_except(F.col(f"n{h}"), taken)
-    for j in range(h):
-        new = F.array_except(new, F.col(f"n{j}"))
     above = [F.col("v0"), *[F.col(f"v{j}") for j in range(h + 1, size)]]
     floor = F.greatest(*above) if len(above) > 1 else above[0]
-    return F.filter(new, lambda u: u > floor)
+    new = F.filter(F.col(f"n{h}"), lambda u: u > floor)
+    # later vertices are not above the floor; earlier ones may be, and do not join again
+    if h:
+        new = F.array_except(new, F.array(*[F.col(f"v{j}") for j in range(h)]))
+    for j in range(h):
+        new = F.array_except(new, F.col(f"n{j}"))
+    return new
 
 
 def _marked(candidates: Column, h: int) -> Column:
@@ -79,22 +81,33 @@ def _carry_level(graph: PropertyGraph, k: int) -> DataFrame:
     return level
 
 
-def _split(part: Column, size: int, j: int, bits: int) -> list[tuple[int, Column]]:
-    """(bits, number) of the candidates in part by adjacency to positions j..size-1."""
-    if j == size:
-        return [(bits, F.size(part))]
-    inside, outside = F.array_intersect(part, F.col(f"n{j}")), F.array_except(part, F.col(f"n{j}"))
-    return _split(inside, size, j + 1, bits | 1 << j) + _split(outside, size, j + 1, bits)
+def _met(size: int, h: int) -> dict[int, Column]:
+    """Numbers of candidates at h that are adjacent to all of a set of later positions."""
+    sets = {0: _candidates(size, h)}
+    for j in range(h + 1, size):
+        sets |= {bits | 1 << j: F.array_intersect(part, F.col(f"n{j}")) for bits, part in sets.items()}
+    return {bits: F.size(part) for bits, part in sets.items()}
+
+
+def _exactly(met: dict[int, str], bits: int) -> Column:
+    """Candidates adjacent to these later positions and no others, by inclusion and exclusion."""
+    more = [other for other in met if other & bits == bits]
+    return sum((F.col(met[o]) * (-1) ** bin(o ^ bits).count("1") for o in more), F.lit(0))
 
 
 def _count_carry(graph: PropertyGraph, k: int) -> DataFrame:
     """mask, n of the last level, from the sizes of candidate sets."""
     size = k - 1
     level = _carry_level(graph, size)
-    parts = [p for h in range(size) for p in _split(_candidates(size, h), size, h + 1, 1 << h)]
-    sums = [F.sum(n).alias(f"b{b}_{i}") for i, (b, n) in enumerate(parts)]
+    sums, names = [], []
+    for h in range(size):
+        met = _met(size, h)
+        own = {bits: f"h{h}_{bits}" for bits in met}
+        sums += [F.sum(n).alias(own[bits]) for bits, n in met.items()]
+        names.append((h, own))
     by = level.groupBy("mask").agg(*sums)
-    rows = F.array(*[F.struct(F.lit(b).alias("bits"), F.col(f"b{b}_{i}").alias("n")) for i, (b, _) in enumerate(parts)])
+    cells = [F.struct(F.lit(1 << h | bits).alias("bits"), _exactly(own, bits).cast("long").alias("n")) for h, own in names for bits in own]
+    rows = F.array(*cells)
     flat = by.select("mask", F.explode(rows).alias("r")).select(F.col("mask").bitwiseOR(F.shiftleft(F.col("r.bits"), patterns.offset(size))).alias("mask"), F.col("r.n").alias("n"))
     return flat.groupBy("mask").agg(F.sum("n").alias("n")).where("n > 0")
 
