@@ -201,11 +201,11 @@ def mine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str = "rows", k
     """n_edges, pattern, support of every frequent pattern of up to max_edges (1-3) edges.
 
     plan: `shapes` joins shape by shape; `engine` grows edge by edge in the level engine.
-    Both drop what has an infrequent part before they grow it."""
+    Both drop what has an infrequent part before they grow it - except for kind
+    `frequency`, which is not anti-monotone: there nothing is dropped unless unsafe=True,
+    which loses patterns."""
     if kind not in ("mni", "mni_approx", "frequency"):
         raise ValueError(f"unknown support {kind!r}")
-    if kind == "frequency" and not unsafe:
-        raise ValueError("frequency is not anti-monotone; pass unsafe=True")
     if not 1 <= max_edges <= 3:
         raise ValueError("patterns of 1 to 3 edges are covered")
     if plan == "shapes" and kind != "frequency":
@@ -213,10 +213,10 @@ def mine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str = "rows", k
         if top["x"] is not None and (top["x"] < 0 or top["y"] >= 1 << BITS):
             raise ValueError(f"labels outside 0..{(1 << BITS) - 1} need plan='engine'")
         return _mine_shapes(graph, max_edges, sigma, lambda d: support.mni(d, "approx" if kind == "mni_approx" else mode))
-    return _mine_engine(graph, max_edges, sigma, mode, kind)
+    return _mine_engine(graph, max_edges, sigma, mode, kind, drop=kind != "frequency" or unsafe)
 
 
-def _mine_engine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str, kind: str) -> DataFrame:
+def _mine_engine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str, kind: str, drop: bool) -> DataFrame:
     app = AppSpec(mode="edge")
     level, out, g = engine.seed(graph, app), None, graph
     for n in range(1, max_edges + 1):
@@ -232,7 +232,9 @@ def _mine_engine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str, ki
         keep = cut(found.where(F.col("support") >= sigma))
         part = keep.select(F.lit(n).alias("n_edges"), "pattern", "support")
         out = part if out is None else out.unionByName(part)
-        if n < max_edges:
+        if n < max_edges and not drop:
+            level = cut(level.drop("shape", "own", "pattern"))
+        elif n < max_edges:
             level = cut(level.join(F.broadcast(keep.select("pattern")), "pattern", "left_semi").drop("shape", "own", "pattern"))
             if n == 1:  # no frequent pattern has an infrequent edge: grow in what is left
                 g = PropertyGraph(cut(level.select(F.col("vids")[0].alias("src"), F.col("vids")[1].alias("dst"))), graph.labels)

@@ -266,7 +266,7 @@ def compiled_count(graph: PropertyGraph, pattern: str, induced: bool = False) ->
 
 
 def frequency_fsm(graph: PropertyGraph, max_edges: int, sigma: int) -> DataFrame:
-    return frequent.mine(graph, max_edges, sigma, kind="frequency", unsafe=True)
+    return frequent.mine(graph, max_edges, sigma, kind="frequency")
 
 
 # -- recursive frequent-subgraph miner --------------------------------------

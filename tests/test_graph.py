@@ -153,7 +153,7 @@ def test_bounds_are_checked(spark):
     with pytest.raises(ValueError):
         frequent.mine(g, 0, 1)
     with pytest.raises(ValueError):
-        frequent.mine(g, 2, 1, kind="frequency")
+        engine.mine(g, AppSpec(prune=lambda s: s > 1, anti_monotone=False), 3)
     with pytest.raises(ValueError):
         blocking.run(g, AppSpec(prune=lambda s: s > 1), 3)
     with pytest.raises(ValueError):
