@@ -16,6 +16,7 @@ from ..graph import PropertyGraph
 from ..operators import engine, support
 from ..operators.rules import AppSpec
 from ..session import cut
+from . import triangles
 
 
 def _by_degree(k: int, n_edges: int) -> dict[int, tuple[str, list[int]]]:
@@ -112,7 +113,7 @@ def domains_generic(level: DataFrame) -> DataFrame:
     return both.select("pattern", F.explode(F.arrays_zip("orbits", "vids")).alias("d")).select("pattern", F.col("d.orbits").alias("orbit"), F.col("d.vids").alias("vid"))
 
 
-# -- shape plans: the same patterns by joins per shape, all inside generated code ----------
+# -- shape plans: the same domains by joins per shape, all inside generated code ----------
 
 BITS = 12
 SHAPES = {1: ("edge", 2), 2: ("wedge", 3), 3: ("triangle", 3), 4: ("3-star", 4), 5: ("3-path", 4)}
@@ -163,23 +164,36 @@ def _mine_shapes(graph: PropertyGraph, max_edges: int, sigma: int, support_of) -
     out = keep1.withColumn("n_edges", F.lit(1))
     if max_edges > 1:
         arcs = cut(_kept(arcs, edge_id, keep1))
+        # wedges and stars need no listing: a domain only asks which labels a centre's neighbours have, and how often
+        seen = cut(arcs.groupBy(c("src").alias("c"), c("ls").alias("lc"), c("ld").alias("l")).agg(F.count("*").alias("n")))
         first = arcs.select(c("src").alias("c"), c("ls").alias("lc"), c("dst").alias("a"), c("ld").alias("la"))
-        second = arcs.select(c("src").alias("c"), c("dst").alias("b"), c("ld").alias("lb"))
-        wedge = first.join(second, "c").where("a < b")
-        wedge_id = _pack(2, c("lc"), F.least("la", "lb"), F.greatest("la", "lb"))
-        found = support_of(_places(wedge, wedge_id, (F.lit(0), c("c")), (1 + _below(c("la"), c("lb")), c("a")), (1 + _below(c("lb"), c("la")), c("b"))))
+        x, y = seen.select("c", "lc", c("l").alias("lx"), c("n").alias("nx")), seen.select("c", c("l").alias("ly"), c("n").alias("ny"))
+        pairs = x.join(y, "c").where((c("lx") < c("ly")) | ((c("lx") == c("ly")) & (c("nx") > 1)))
+        leaf = first.join(y, "c").where((c("la") != c("ly")) | (c("ny") > 1))
+        leaf_id = _pack(2, c("lc"), F.least("la", "ly"), F.greatest("la", "ly"))
+        pair_id = _pack(2, c("lc"), c("lx"), c("ly"))
+        found = support_of(_places(pairs, pair_id, (F.lit(0), c("c"))).unionByName(_places(leaf, leaf_id, (1 + _below(c("la"), c("ly")), c("a")))))
         keep2 = cut(found.where(c("support") >= sigma))
         out = out.unionByName(keep2.withColumn("n_edges", F.lit(2)))
     if max_edges > 2:
-        wedge = _kept(wedge, wedge_id, keep2)
-        third = arcs.select(c("src").alias("c"), c("dst").alias("z"), c("ld").alias("lz"))
-        star = wedge.join(third, "c").where("z > b")
-        star_id = _pack(4, c("lc"), *_sorted3(c("la"), c("lb"), c("lz")))
-        stars = _places(star, star_id, (F.lit(0), c("c")), *[(1 + _below(c(x), *[c(y) for y in ("la", "lb", "lz") if y != x]), c(v)) for x, v in (("la", "a"), ("lb", "b"), ("lz", "z"))])
-        close = arcs.select(c("src").alias("a"), c("dst").alias("b"))
-        triangle = wedge.where("c < a").join(close, ["a", "b"])
-        tri_id = _pack(3, *_sorted3(c("lc"), c("la"), c("lb")))
-        triangles_ = _places(triangle, tri_id, *[(_below(c(x), *[c(y) for y in ("lc", "la", "lb") if y != x]), c(v)) for x, v in (("lc", "c"), ("la", "a"), ("lb", "b"))])
+        pairs = cut(_kept(pairs, pair_id, keep2))
+        z = seen.select("c", c("l").alias("lz"), c("n").alias("nz"))
+        times = lambda own, *others: 1 + sum(((own == o).cast("int") for o in others), F.lit(0))
+        triple = pairs.join(z, "c").where((c("ly") <= c("lz")) & (c("ny") >= times(c("ly"), c("lx"), c("lz"))) & (c("nz") >= times(c("lz"), c("lx"), c("ly"))))
+        # every wedge inside a star must be frequent for all of its domains alike
+        side = lambda a, b: _pack(2, c("lc"), F.least(a, b), F.greatest(a, b))
+        triple = _kept(_kept(triple, side("lx", "lz"), keep2), side("ly", "lz"), keep2)
+        centres = _places(triple, _pack(4, c("lc"), c("lx"), c("ly"), c("lz")), (F.lit(0), c("c")))
+        point = first.drop("lc").join(pairs, "c").where((c("nx") >= times(c("lx"), c("la"), c("ly"))) & (c("ny") >= times(c("ly"), c("la"), c("lx"))))
+        point = _kept(_kept(point, side("la", "lx"), keep2), side("la", "ly"), keep2)
+        leaves = _places(point, _pack(4, c("lc"), *_sorted3(c("la"), c("lx"), c("ly"))), (1 + _below(c("la"), c("lx"), c("ly")), c("a")))
+        stars = centres.unionByName(leaves)
+        lab = graph.vertex_labels()
+        corner = triangles.listing(PropertyGraph(arcs.where("src < dst").select("src", "dst")))
+        for v in ("v0", "v1", "v2"):
+            corner = corner.join(lab.select(c("id").alias(v), c("label").alias(f"l{v}")), v)
+        tri_id = _pack(3, *_sorted3(c("lv0"), c("lv1"), c("lv2")))
+        corners = _places(corner, tri_id, *[(_below(c(f"l{v}"), *[c(f"l{u}") for u in ("v0", "v1", "v2") if u != v]), c(v)) for v in ("v0", "v1", "v2")])
         # a path is its middle edge p < q with an outer neighbour on either side; both wedges must be frequent
         hop = first.join(arcs.select(c("src").alias("c"), c("dst").alias("o"), c("ld").alias("lo")), "c").where("a <> o")
         hop = _kept(hop, _pack(2, c("lc"), F.least("la", "lo"), F.greatest("la", "lo")), keep2)
@@ -187,12 +201,12 @@ def _mine_shapes(graph: PropertyGraph, max_edges: int, sigma: int, support_of) -
         right = hop.where("c > a").select(c("a").alias("p"), c("c").alias("q"), c("o").alias("y"), c("lo").alias("ly"))
         path = left.join(right, ["p", "q"]).where("x <> y")
         ahead = (c("lx") < c("ly")) | ((c("lx") == c("ly")) & (c("lp") <= c("lq")))
-        same = (c("lx") == c("ly")) & (c("lp") == c("lq"))
+        mirrored = (c("lx") == c("ly")) & (c("lp") == c("lq"))
         pick = lambda a, b: F.when(ahead, c(a)).otherwise(c(b))
         path_id = _pack(5, pick("lx", "ly"), pick("lp", "lq"), pick("lq", "lp"), pick("ly", "lx"))
-        place = lambda i: F.when(same, F.lit(min(i, 3 - i))).otherwise(F.when(ahead, F.lit(i)).otherwise(F.lit(3 - i)))
+        place = lambda i: F.when(mirrored, F.lit(min(i, 3 - i))).otherwise(F.when(ahead, F.lit(i)).otherwise(F.lit(3 - i)))
         paths = _places(path, path_id, (place(0), c("x")), (place(1), c("p")), (place(2), c("q")), (place(3), c("y")))
-        found = support_of(stars.unionByName(triangles_).unionByName(paths))
+        found = support_of(stars.unionByName(corners).unionByName(paths))
         out = out.unionByName(found.where(c("support") >= sigma).withColumn("n_edges", F.lit(3)))
     return out.select("n_edges", _unpack(c("pattern")).alias("pattern"), "support")
 
