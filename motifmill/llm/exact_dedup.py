@@ -70,7 +70,7 @@ def cut_points(data: np.ndarray, offsets: np.ndarray, cut_bits: int = CUT_BITS,
     return out
 
 
-def _recipes(data, offsets, rows):
+def _recipes(data, offsets, rows, fp_bits: int = 64):
     text, offs = normalise(data, offsets)
     ends = cut_points(text, offs)
     view = memoryview(np.ascontiguousarray(text))
@@ -83,24 +83,29 @@ def _recipes(data, offsets, rows):
             parts.append(hashlib.sha256(view[start:e]).digest())
             start = e
         digests.append(parts)
-        fps.append(np.frombuffer(b"".join(x[:8] for x in parts), np.int64))
+        fps.append((np.frombuffer(b"".join(x[:8] for x in parts), np.uint64) & np.uint64((1 << fp_bits) - 1)).view(np.int64))
     return base.batch(_SCHEMA, doc_id=rows.column(0), text_sha256=whole, n_bytes=np.diff(offs), fps=fps, digests=digests)
 
 
-def recipes(docs: DataFrame) -> DataFrame:
+def recipes(docs: DataFrame, fp_bits: int = 64) -> DataFrame:
     """doc_id, text_sha256, n_bytes, fps (fingerprints in order), digests (in order)."""
     df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return base.over_texts(df, _recipes, "doc_id long, text_sha256 string, n_bytes long, fps array<long>, digests array<binary>", "doc_id")
+    return base.over_texts(df, lambda data, offsets, rows: _recipes(data, offsets, rows, fp_bits), "doc_id long, text_sha256 string, n_bytes long, fps array<long>, digests array<binary>", "doc_id")
 
 
-def exact_groups(docs: DataFrame) -> DataFrame:
-    """One row per document: doc_id, keep_id, group_size, kept, text_sha256, n_chunks."""
-    r = cut(recipes(docs))
+def exact_groups(docs: DataFrame, fp_bits: int = 64) -> DataFrame:
+    """One row per document: doc_id, keep_id, group_size, kept, text_sha256, n_chunks.
+    Fewer fp_bits make fingerprints meet more often; the result is the same."""
+    r = cut(recipes(docs, fp_bits))
     chunks = r.select("doc_id", F.posexplode(F.arrays_zip("fps", "digests")).alias("seq", "c")).select("doc_id", "seq", "c.fps", "c.digests")
-    shared = chunks.groupBy("fps").agg(F.min("digests").alias("x"), F.max("digests").alias("y")).where("x <> y").select("fps")
-    ranks = chunks.join(shared, "fps", "left_semi").select("fps", "digests").distinct().withColumn("rank", F.row_number().over(Window.partitionBy("fps").orderBy("digests")))
-    fixes = chunks.join(ranks, ["fps", "digests"]).where("rank > 1").groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("seq", "rank"))).alias("fixes"))
-    listed = r.drop("digests").join(fixes, "doc_id", "left").withColumn("recipe", F.struct("fps", F.coalesce("fixes", F.array().cast("array<struct<seq:int,rank:int>>")).alias("fixes")))
+    shared = cut(chunks.groupBy("fps").agg(F.min("digests").alias("x"), F.max("digests").alias("y")).where("x <> y").select("fps"))
+    none = F.array().cast("array<struct<seq:int,rank:int>>")
+    if shared.isEmpty():  # every fingerprint is verified as it is: the usual case
+        listed = r.drop("digests").withColumn("recipe", F.struct("fps", none.alias("fixes")))
+    else:
+        ranks = chunks.join(shared, "fps", "left_semi").select("fps", "digests").distinct().withColumn("rank", F.row_number().over(Window.partitionBy("fps").orderBy("digests")))
+        fixes = chunks.join(ranks, ["fps", "digests"]).where("rank > 1").groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("seq", "rank"))).alias("fixes"))
+        listed = r.drop("digests").join(fixes, "doc_id", "left").withColumn("recipe", F.struct("fps", F.coalesce("fixes", none).alias("fixes")))
     # cut, so that both sides of the join are dealt anew and a very large group can be split there
     groups = cut(listed.groupBy("recipe").agg(F.min("doc_id").alias("keep_id"), F.count("*").alias("group_size")))
     return listed.join(groups, "recipe").select(

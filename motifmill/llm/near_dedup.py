@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from ..session import cut
 from . import base, textvec
 
-BINS, ROWS, SMALL, EXTRA, BLOCK = 128, 4, 96, 2, 1_000
+BINS, ROWS, SMALL, EXTRA, BLOCK = 128, 4, 96, 2, 300
 _EMPTY = np.uint64(2**64 - 1)
 _SKETCH = {"doc_id": pa.int64(), "n_shingles": pa.int64(), "hi": pa.int64(), "lo": pa.int64(), "keys": pa.list_(pa.int64())}
 _SKETCH_SCHEMA = "doc_id long, n_shingles long, hi long, lo long, keys array<long>"

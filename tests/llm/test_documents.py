@@ -419,12 +419,13 @@ def test_repeats_equal_brute_force(spark, docs):
 # -- op10 ----------------------------------------------------------------
 
 
-def test_exact_groups_equal_brute_force(spark, docs):
+@pytest.mark.parametrize("fp_bits", [64, 2])
+def test_exact_groups_equal_brute_force(spark, docs, fp_bits):
     rows = [(r.doc_id, SPACE.sub(" ", r.text or "")) for r in docs.collect()]
     by = {}
     for i, t in rows:
         by.setdefault(t, []).append(i)
-    got = {r.doc_id: r for r in exact_dedup.exact_groups(docs).collect()}
+    got = {r.doc_id: r for r in exact_dedup.exact_groups(docs, fp_bits).collect()}
     for i, t in rows:
         r = got[i]
         assert (r.keep_id, r.group_size, r.kept) == (min(by[t]), len(by[t]), min(by[t]) == i)
