@@ -368,6 +368,38 @@ def test_speller_sums_to_one_over_next_bits():
     assert known.min() > s.log10_words(odd, np.array([0]), np.array([5]))[0]
 
 
+def test_speller_learns_from_every_training_word(spark):
+    """The same corpus in one or many partitions and batches; a brute-force model over its distinct training words."""
+    rng = random.Random(3)
+    vocab = ["".join(rng.choice("abcdefgh") for _ in range(rng.randint(1, 9))) for _ in range(400)] + ["x" * 90]
+    rows = [(i, " ".join(rng.choice(vocab) for _ in range(30))) for i in range(60)]
+    train = [t for i, t in rows if zlib.crc32(str(i).encode()) % 5 != 1]
+    known = sorted({w for t in train for w in t.split()})
+    every = sorted({w for _, t in rows for w in t.split()})
+    raw = [np.frombuffer("".join(ws).encode(), np.uint8) for ws in (known, every)]
+    ends = [np.cumsum([len(w) for w in ws]) for ws in (known, every)]
+    starts = [e - [len(w) for w in ws] for e, ws in zip(ends, (known, every))]
+    freq = np.bincount(raw[0], minlength=256) + 0.05
+    freq[lm_score.END] += len(known)
+    s = lm_score.Speller(freq)
+    s.count(None, raw[0], starts[0], ends[0])
+    s.freeze()
+    s.fit(raw[0], starts[0], ends[0])
+    expected = dict(zip(every, s.log10_words(raw[1], starts[1], ends[1])))
+    for parts in (1, 7):
+        found = lm_score.vocabulary(lm_score.prepare(spark.createDataFrame(rows, "doc_id long, text string").repartition(parts)))
+        assert {bytes(r.word).decode(): r.n for r in found.collect()} == {w: sum(t.split().count(w) for t in train) for w in every}
+        got = {bytes(r.word).decode(): r.spelled / 1e6 for r in lm_score.spellings(found).join(found, "h").collect()}
+        assert got == pytest.approx(expected, abs=1e-3)
+
+
+def test_clusters_count_every_training_document(spark):
+    rows = [(i, " ".join(["ab ba", "xyz zyx", "123 321"][i % 3] for _ in range(i % 5 + 1))) for i in range(200)]
+    train = [t for i, t in rows if zlib.crc32(str(i).encode()) % 5 != 1]
+    _, tokens = lm_score.clusters(lm_score.prepare(spark.createDataFrame(rows, "doc_id long, text string")))
+    assert tokens[-1] == len(train) and tokens[:-1].sum() == sum(len(t.split()) for t in train)
+
+
 # -- op8 -----------------------------------------------------------------
 
 
