@@ -400,6 +400,20 @@ def test_clusters_count_every_training_document(spark):
     assert tokens[-1] == len(train) and tokens[:-1].sum() == sum(len(t.split()) for t in train)
 
 
+def test_context_counts_are_exact_past_any_table_size():
+    """More distinct contexts than 2**18: each has its own count."""
+    rng = np.random.default_rng(1)
+    data = rng.integers(97, 123, 9 * 60_000, dtype=np.uint8)
+    starts = np.arange(0, len(data), 9)
+    s = lm_score.Speller(np.bincount(data, minlength=256) + 0.05)
+    s.count(None, data, starts, starts + 9)
+    s.freeze()
+    keys, zero, one = s.tallies[5]
+    assert len(keys) > 2**18
+    grams, n = np.unique(lm_score.spell(data, starts, starts + 9)[0], return_counts=True)
+    assert (zero + one).sum() == (s.length[grams & 255] * n).sum()
+
+
 # -- op8 -----------------------------------------------------------------
 
 
