@@ -11,8 +11,6 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..apps import triangles
-from ..graph import PropertyGraph, normalise
 from ..session import checkpoint_folder
 from ..sources import graphs
 
@@ -75,10 +73,11 @@ def st_static_join(spark, sf_dir):
 
 
 def st_stream_join(spark, sf_dir):
-    """Clicks followed by a purchase of the same user within 10 minutes."""
+    """Clicks followed by a purchase of the same user within 10 minutes.  Files may come in
+    any order of time, so no watermark drops rows: the state holds every click and purchase."""
     s = source(spark, sf_dir)
-    c = s.where("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("user_id").alias("cu"), F.col("ts").alias("ct")).withWatermark("ct", LATE)
-    p = source(spark, sf_dir).where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("pu"), F.col("ts").alias("pt")).withWatermark("pt", LATE)
+    c = s.where("event_type = 'click'").select(F.col("event_id").alias("click"), F.col("user_id").alias("cu"), F.col("ts").alias("ct"))
+    p = source(spark, sf_dir).where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("pu"), F.col("ts").alias("pt"))
     return replay(c.join(p, F.expr("cu = pu AND pt >= ct AND pt <= ct + INTERVAL 10 MINUTES")).select("click", "purchase"))
 
 
@@ -89,40 +88,57 @@ def st_late(spark, sf_dir):
     return got.agg(F.sum("n").alias("kept"))
 
 
-def st_window_tc(spark, sf_dir):
-    """Triangles of the co-minute graph of each day, counted per batch of closed days."""
-    base = f"{checkpoint_folder(spark)}/stream-{uuid.uuid4().hex}"
+def added_triangles(stream: DataFrame, window: str | None) -> DataFrame:
+    """w, triangles: what each batch adds to the co-minute graph of each window (a unit of
+    date_trunc; None: one window, w = 0).
+
+    Rows (minute, user) and edges are stored, a folder a batch.  A new row is paired with
+    the new and stored rows of its minute; a new edge adds the common neighbours of its ends,
+    and of a triangle's new edges only the largest counts it.  Files may come in any order
+    of time: no row is late, so no window is closed and its state stays.
+    """
+    base = f"{checkpoint_folder(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
+    w = F.lit(0).cast("long") if window is None else F.unix_micros(F.date_trunc(window, "k"))
 
     def each(batch, number):
-        b = batch.select(F.date_trunc("day", "ts").alias("day"), F.date_trunc("minute", "ts").alias("k"), F.col("user_id").alias("n")).distinct()
-        pairs = b.alias("x").join(b.alias("y"), F.expr("x.k = y.k and x.n < y.n")).select(F.col("x.day").alias("day"), F.col("x.n").alias("src"), F.col("y.n").alias("dst")).distinct()
-        step = pairs.select("day", F.col("src").alias("a"), F.col("dst").alias("b"))
-        wedge = step.join(pairs.select("day", F.col("src").alias("b"), F.col("dst").alias("c")), ["day", "b"])
-        closed = wedge.join(pairs.select("day", F.col("src").alias("a"), F.col("dst").alias("c")), ["day", "a", "c"], "left_semi")
-        closed.groupBy(F.unix_micros("day").alias("day")).agg(F.count("*").alias("triangles")).write.mode("append").parquet(f"{base}/out")
-
-    stream = source(spark, sf_dir)
+        spark = batch.sparkSession
+
+        def stored(name, schema):
+            kept = [f"{base}/{name}/{i}" for i in range(number)]
+            return spark.read.schema(schema).parquet(*kept) if kept else spark.createDataFrame([], schema)
+
+        def store(name, df, schema):
+            df.write.mode("overwrite").parquet(f"{base}/{name}/{number}")
+            return spark.read.schema(schema).parquet(f"{base}/{name}/{number}")
+
+        rows, edges = "k timestamp, n long", "w long, src long, dst long"
+        old = stored("rows", rows)
+        seen = batch.select(F.date_trunc("minute", "ts").alias("k"), F.col("user_id").cast("long").alias("n")).dropna().distinct()
+        new = store("rows", seen.join(old, ["k", "n"], "left_anti"), rows)
+        both = new.join(old.unionByName(new).withColumnRenamed("n", "m"), "k").where("n <> m")
+        pairs = both.select(w.alias("w"), F.least("n", "m").alias("src"), F.greatest("n", "m").alias("dst")).distinct()
+        before = stored("edges", edges)
+        fresh = store("edges", pairs.join(before, ["w", "src", "dst"], "left_anti"), edges)
+        known = before.withColumn("new", F.lit(False)).unionByName(fresh.withColumn("new", F.lit(True)))
+        arcs = known.select("w", "src", "dst", "new", F.col("src").alias("x"), F.col("dst").alias("c")).unionByName(known.select("w", "src", "dst", "new", F.col("dst").alias("x"), F.col("src").alias("c")))
+        side = lambda end: arcs.select("w", F.col("x").alias(end), "c", F.when(F.col("new"), F.struct("src", "dst")).alias(f"by_{end}"))
+        at = fresh.select("w", F.col("src").alias("a"), F.col("dst").alias("b"))
+        own = F.struct(F.col("a").alias("src"), F.col("b").alias("dst"))
+        closed = at.join(side("a"), ["w", "a"]).where(F.col("by_a").isNull() | (F.col("by_a") < own)).join(side("b"), ["w", "b", "c"]).where(F.col("by_b").isNull() | (F.col("by_b") < own))
+        closed.groupBy("w").agg(F.count("*").alias("triangles")).write.mode("overwrite").parquet(f"{base}/out/batch={number}")
+
     stream.writeStream.option("checkpointLocation", f"{base}/state").trigger(availableNow=True).foreachBatch(each).start().awaitTermination()
-    return spark.read.schema("day long, triangles long").parquet(f"{base}/out").groupBy("day").agg(F.sum("triangles").alias("triangles"))
+    return stream.sparkSession.read.schema("w long, triangles long").option("recursiveFileLookup", "true").parquet(f"{base}/out")
 
 
-def st_incremental_tc(spark, sf_dir):
-    """A running triangle count: each batch adds its new edges to the stored ones and counts
-    the triangles that have a new edge."""
-    base = f"{checkpoint_folder(spark)}/stream-{uuid.uuid4().hex}"
-    state = {"version": 0}
+def st_window_tc(spark, sf_dir):
+    """Triangles of the co-minute graph of each day."""
+    return added_triangles(source(spark, sf_dir), "day").groupBy(F.col("w").alias("day")).agg(F.sum("triangles").alias("triangles"))
 
-    def each(batch, number):
-        b = batch.select(F.date_trunc("minute", "ts").alias("k"), F.col("user_id").alias("n")).distinct()
-        new = normalise(b.alias("x").join(b.alias("y"), F.expr("x.k = y.k and x.n < y.n")).select(F.col("x.n").alias("src"), F.col("y.n").alias("dst")))
-        if state["version"]:
-            old = spark.read.parquet(f"{base}/edges/{state['version']}")
-            new = old.unionByName(new).distinct()
-        state["version"] += 1
-        new.write.mode("overwrite").parquet(f"{base}/edges/{state['version']}")
-
-    source(spark, sf_dir).writeStream.option("checkpointLocation", f"{base}/state").trigger(availableNow=True).foreachBatch(each).start().awaitTermination()
-    return triangles.count(PropertyGraph(spark.read.parquet(f"{base}/edges/{state['version']}")))
+
+def st_incremental_tc(spark, sf_dir):
+    """A running triangle count of the co-minute graph: new edges add their common neighbours."""
+    return added_triangles(source(spark, sf_dir), None).agg(F.coalesce(F.sum("triangles"), F.lit(0)).alias("triangles"))
 
 
 def queries() -> dict:
