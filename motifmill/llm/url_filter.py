@@ -31,7 +31,7 @@ LISTED = (
 )
 # Words that mark a host as unwanted when no label is given.
 SUSPECT = ("spam", "casino", "pills", "viagra", "porn", "xxx", "warez", "lottery")
-MIN_SUPPORT, MIN_CONFIDENCE, MOST_RULES, MOST_LABELLED, MOST_TOKENS = 0.002, 0.8, 300, 200_000, 24
+MIN_SUPPORT, MIN_CONFIDENCE, MOST_RULES, MOST_LABELLED = 0.002, 0.8, 300, 200_000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -57,21 +57,22 @@ def listed_rule(host: Column, path: Column, rules=LISTED) -> tuple[Column, Colum
 
 
 def url_tokens(url: Column, host: Column, path: Column) -> Column:
-    """Distinct tokens: scheme, domain parts, words of the host, path steps and query keys."""
+    """Distinct tokens: scheme, domain parts, and all words of the host, path steps and query keys."""
     labels = F.split(host, r"\.")
     tag = lambda name, values: F.transform(values, lambda v: F.concat(F.lit(name + "="), v))
     short = lambda v: F.regexp_replace(v, "[0-9]+", "#")
     query = F.regexp_extract(F.coalesce(url, F.lit("")), r"\?([^#]*)", 1)
+    steps = F.split(short(path), "/")
     parts = F.concat(
         tag("scheme", F.array(F.regexp_extract(F.coalesce(url, F.lit("")), r"^([A-Za-z]+)://", 1))),
         tag("tld", F.array(F.element_at(labels, -1))),
         tag("domain", F.array(F.array_join(F.slice(labels, F.greatest(F.size(labels) - 1, F.lit(1)), 2), "."))),
         tag("word", F.split(host, r"[.\-]")),
-        tag("step", F.slice(F.split(short(path), "/"), 2, 3)),
+        tag("step", F.slice(steps, 2, F.size(steps))),
         tag("ext", F.array(F.regexp_extract(path, r"\.([A-Za-z0-9]+)$", 1))),
-        tag("key", F.transform(F.slice(F.split(query, "&"), 1, 6), lambda v: F.split(v, "=")[0])),
+        tag("key", F.transform(F.split(query, "&"), lambda v: F.split(v, "=")[0])),
     )
-    return F.slice(F.array_sort(F.array_distinct(F.filter(parts, lambda v: ~v.endswith("=")))), 1, MOST_TOKENS)
+    return F.array_sort(F.array_distinct(F.filter(parts, lambda v: ~v.endswith("="))))
 
 
 def judged(pages: DataFrame, rules=LISTED) -> DataFrame:

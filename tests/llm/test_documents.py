@@ -260,6 +260,17 @@ def test_mined_rules_match_by_their_tokens(spark):
     assert url_filter.filter_urls(spark.createDataFrame([], "page_id long, url string")).count() == 0
 
 
+def test_rules_on_late_steps_keys_and_host_words(spark):
+    host = "-".join(f"w{i}" for i in range(30)) + "-xxx.example.org"
+    url = f"http://{host}/a/b/c/d/deep?" + "&".join(f"k{i}=1" for i in range(9))
+    tokens = set(url_filter.judged(spark.createDataFrame([(1, url)], "page_id long, url string"), ()).first().tokens)
+    assert {"step=d", "step=deep", "key=k8", "word=xxx", *(f"word=w{i}" for i in range(30))} <= tokens
+    rows = [(i, f"http://h.example.org/a/b/c/{'ads' if i % 3 == 0 else 'news'}") for i in range(90)]
+    labels = spark.createDataFrame([(i, i % 3 == 0) for i, _ in rows], "page_id long, blocked boolean")
+    got = {r.page_id: r.verdict for r in url_filter.filter_urls(spark.createDataFrame(rows, "page_id long, url string"), labels, rules=()).collect()}
+    assert got == {i: "block" if i % 3 == 0 else "allow" for i, _ in rows}
+
+
 # -- op5 -----------------------------------------------------------------
 
 
