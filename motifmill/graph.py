@@ -6,6 +6,7 @@ derived from the edges when absent (label 0).  Everything here is a lazy plan.
 
 from __future__ import annotations
 
+import itertools
 from dataclasses import dataclass
 from functools import cached_property
 
@@ -108,10 +109,12 @@ class PropertyGraph:
         edges = self.edges.join(keep.select(F.col("id").alias("src")), "src", "left_semi").join(keep.select(F.col("id").alias("dst")), "dst", "left_semi")
         return PropertyGraph(edges, keep)
 
-    def k_core(self, k: int, most_rounds: int = 100) -> DataFrame:
-        """Edges of the k-core: vertices under degree k go until none is left."""
+    def k_core(self, k: int, most_rounds: int | None = None) -> DataFrame:
+        """Edges of the k-core: vertices under degree k go until none is left.  An error if that takes more than most_rounds."""
         left, n = self.edges, -1
-        for _ in range(most_rounds):
+        for turn in itertools.count():
+            if turn == most_rounds:
+                raise RuntimeError(f"the {k}-core is not reached after {most_rounds} rounds")
             weak = PropertyGraph(left).degrees.where(F.col("degree") < k).select("id")
             left = cut(left.join(weak.select(F.col("id").alias("src")), "src", "left_anti").join(weak.select(F.col("id").alias("dst")), "dst", "left_anti").select("src", "dst"))
             now = left.count()

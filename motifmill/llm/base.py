@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -71,16 +72,18 @@ def as_texts(data: np.ndarray, offsets: np.ndarray) -> list[str]:
     return [raw[a:b].decode("utf-8", "replace") for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist())]
 
 
-def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame, most_rounds: int | None = None) -> DataFrame:
     """(node, component) with the smallest reachable node, from edges (a, b).
 
     Alternating large-star and small-star steps; every round is one aggregate and one
     join over the edges, cut at the shared checkpoint folder.  A hub's neighbours are
-    never gathered in one task.
+    never gathered in one task.  An error if no fixed point is reached within most_rounds.
     """
     e = cut(edges.where("a <> b").select(F.greatest("a", "b").alias("hi"), F.least("a", "b").alias("lo")).distinct())
     state = None
-    for _ in range(most_rounds):
+    for turn in itertools.count():
+        if turn == most_rounds:
+            raise RuntimeError(f"components are not complete after {most_rounds} rounds")
         # large star: every larger neighbour of a node points at the node's smallest neighbour
         both = e.select(F.col("hi").alias("n"), F.col("lo").alias("m")).unionByName(e.select(F.col("lo").alias("n"), F.col("hi").alias("m")))
         # cut, so that the join deals both sides anew and AQE can split a hub's rows

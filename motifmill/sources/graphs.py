@@ -163,7 +163,7 @@ def read_edge_list(spark: SparkSession, path: str, fmt: str = "csv", sep: str =
 def read_adjacency_text(spark: SparkSession, path: str) -> DataFrame:
     """Edges from lines 'id n1 n2 ...'."""
     part = F.split(F.trim("value"), r"\s+")
-    rows = spark.read.text(path).select(part[0].cast("long").alias("src"), F.explode(F.slice(part, 2, 1_000_000)).alias("dst"))
+    rows = spark.read.text(path).select(part.alias("part")).select(F.col("part")[0].cast("long").alias("src"), F.slice("part", 2, F.size("part")).alias("nbrs")).select("src", F.explode("nbrs").alias("dst"))
     return normalise(rows.where("dst <> ''"))
 
 

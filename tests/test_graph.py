@@ -11,6 +11,7 @@ from motifmill.apps import cliques, frequent, motifs, triangles
 from motifmill.baselines import formula_motifs, others
 from motifmill.functions import patterns
 from motifmill.graph import PropertyGraph, dense_ids, normalise
+from motifmill.llm import base
 from motifmill.operators import blocking, connect, engine, levels, support
 from motifmill.operators.rules import AppSpec
 from motifmill.plans import planning
@@ -290,6 +291,20 @@ def test_readers_round_trip(spark, tmp_path):
         assert graphs.read_edge_list(spark, path, fmt).count() == 15
 
 
+def test_hub_line_keeps_every_neighbour(spark, tmp_path):
+    (tmp_path / "adjacency.txt").write_text("0 " + " ".join(map(str, range(1, 1_000_051))) + "\n")
+    assert graphs.read_adjacency_text(spark, str(tmp_path / "adjacency.txt")).count() == 1_000_050
+
+
+def test_unfinished_rounds_are_errors(spark):
+    chain = PropertyGraph(spark.createDataFrame([(i, i + 1) for i in range(12)], "src long, dst long"))
+    assert chain.k_core(2).count() == 0
+    with pytest.raises(RuntimeError):
+        chain.k_core(2, most_rounds=2)
+    with pytest.raises(RuntimeError):
+        base.components(chain.edges.toDF("a", "b"), most_rounds=1)
+
+
 def test_rmat_is_deterministic(spark):
     a, b = (sorted(map(tuple, graphs.rmat(spark, 7).collect())) for _ in range(2))
     assert a == b and all(x < y < 128 for x, y in a)
