@@ -202,7 +202,7 @@ def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 SQL = """
 WITH w AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS ws FROM documents),
-g AS (SELECT doc_id, i, md5(array_to_string(ws[i:i + 12], ' ')) AS k FROM w, (SELECT unnest(range(1, 40001)) AS i) WHERE i <= len(ws) - 12),
+g AS (SELECT doc_id, i, md5(array_to_string(ws[i:i + 12], ' ')) AS k FROM w, (SELECT unnest(range(1, most + 1)) AS i FROM (SELECT max(len(ws)) AS most FROM w)) WHERE i <= len(ws) - 12),
 f AS (SELECT k, min(doc_id) AS first_id FROM g GROUP BY k HAVING min(doc_id) < max(doc_id)),
 r AS (SELECT DISTINCT g.doc_id, g.i + o AS p FROM g JOIN f ON g.k = f.k AND f.first_id < g.doc_id, (SELECT unnest(range(0, 13)) AS o)),
 d AS (SELECT doc_id, list(p) AS ps FROM r GROUP BY doc_id)

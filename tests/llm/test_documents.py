@@ -473,6 +473,17 @@ def test_repeats_equal_brute_force(spark, docs):
     assert [r.n_removed for r in substring_dedup.remove_repeats(long).collect()] == [0, 0, 0]
 
 
+def test_repeat_statement_judges_late_windows():
+    import duckdb
+    import pandas as pd
+
+    long = [f"w{i}" for i in range(40_100)]
+    con = duckdb.connect()
+    con.register("documents", pd.DataFrame({"doc_id": [1, 2], "text": [" ".join(long), " ".join(long[-20:])]}))
+    got = {r[0]: r[1:3] for r in con.sql(substring_dedup.SQL).fetchall()}
+    assert got == {1: (40_100, 0), 2: (20, 20)}
+
+
 # -- op10 ----------------------------------------------------------------
 
 
