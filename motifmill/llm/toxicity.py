@@ -1,18 +1,21 @@
 """Toxicity by a weighted finite-state grammar over clauses.
 
 Texts are cut into clauses and words into classes: insult (learned stems and words, each
-with a weight), threat, target, negation and reported speech (fixed words below).  The
-grammar is the composition of small transducers over the class sequence of a clause: an
-insult or threat emits its weight; a target in the clause raises it; a negation up to
-three words before lowers it; reported speech lowers the whole clause.  A text's clause
-scores are summed up into four features, and a logistic model turns them into a score
-from 0 to 1.
+with a weight), threat, target, negation and reported speech (fixed words below).  Five
+small transducers are composed into one grammar.  The first two mark: an insult machine
+puts a mark on one insult of the clause, a threat machine on one threat, with more weight
+if a target follows within THREAT_REACH words.  What they write is read by the other three, which
+weigh the marked clause: a target in it raises the weight, a negation up to NEGATION_REACH words before the mark
+lowers it, reported speech lowers it.  A clause's score is the sum of the grammar's weights over
+all paths, so over all its marks.  A text's clause scores are summed up into four
+features, and a logistic model turns them into a score from 0 to 1.
 
 Learning reads labelled documents only, at most MOST_LABELLED of them (chosen by hash):
 stems and words get the lower confidence bound of their log-odds between toxic and clean
 texts, counted in two folds, so that the logistic model is fitted on scores from the
-other fold's lexicon.  The lexicon (MOST_ENTRIES at most) and the model are broadcast;
-scoring is narrow.  Every document is scored.
+other fold's lexicon.  All entries over the bounds below are kept; the lexicon, bounded by
+the labelled sample, and the model are broadcast; scoring is narrow.  Every document is
+scored, and clauses are whole, however long.
 
 Special cases: null and empty texts have no clause and the score of that; labels without
 a document, or with a null label, are ignored, labels of one id that differ count as
@@ -26,17 +29,22 @@ import math
 import re
 import uuid
 from collections import Counter
+from functools import reduce
+from operator import or_
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import cut
 from . import base, textvec
 from .near_dedup import shingle_sets
+from .transducers import Transducer
 
-MOST_LABELLED, MOST_ENTRIES, LEAST_BOUND, SHARE_OF_BEST, LEAST_STEM, MOST_STEM = 20_000, 3_000, 1.0, 0.55, 4, 8
-NEGATION_REACH, NEGATED, REPORTED, TARGETED, THREAT = 3, 0.35, 0.6, 1.25, 2.0
+MOST_LABELLED, LEAST_BOUND, SHARE_OF_BEST, LEAST_STEM, MOST_STEM = 20_000, 1.0, 0.55, 4, 8
+NEGATION_REACH, NEGATED, REPORTED, TARGETED = 3, 0.35, 0.6, 1.25
+THREAT_REACH, THREAT, AIMED = 3, 2.0, 1.5
 # Word classes of the grammar.
 CLASSES = {
     "threat": "kill hurt destroy murder beat shoot burn hang töten umbringen tuer matar",
@@ -62,12 +70,78 @@ def entries_of(text: str) -> set[str]:
     return out
 
 
+# Word classes as symbols: other, insult, threat, target, negation, report; a mark is upper-case.
+SYMBOLS = "oitgnr"
+_SYMBOL_OF = {"threat": "t", "target": "g", "negation": "n", "report": "r"}
+
+
+def _same(state: int, symbols: str = SYMBOLS, to: int | None = None, weight: float = 1.0):
+    return [(state, s, s, state if to is None else to, weight) for s in symbols]
+
+
+def insults() -> Transducer:
+    """Marks one insult of the clause, or none; an insult's own weight comes on top when it is read."""
+    return Transducer(2, [*_same(0), (0, "i", "I", 1, 1.0), *_same(1)], {0: 1.0, 1: 1.0})
+
+
+def threats() -> Transducer:
+    """Passes what is marked already, or marks one threat; aimed if a target follows within THREAT_REACH words.
+
+    States: nothing marked, marked before, marked here and not aimed, then marked here with 1.. words to go."""
+    arcs = [*_same(0), (0, "I", "I", 1, 1.0), *_same(1), (0, "t", "T", 2, THREAT), *_same(2)]
+    arcs.append((0, "t", "T", 3, THREAT * (AIMED - 1)))  # the surplus of an aimed threat is a path of its own
+    for gone in range(THREAT_REACH):
+        arcs += _same(3 + gone, SYMBOLS.replace("g", ""), min(4 + gone, 3 + THREAT_REACH))
+        arcs.append((3 + gone, "g", "g", 4 + THREAT_REACH, 1.0))
+    arcs += _same(4 + THREAT_REACH)
+    return Transducer(5 + THREAT_REACH, arcs, {1: 1.0, 2: 1.0, 4 + THREAT_REACH: 1.0})
+
+
+def _present(symbol: str, weight: float) -> Transducer:
+    """Multiplies by weight if the symbol stands anywhere in the clause."""
+    every = SYMBOLS + "IT"
+    return Transducer(2, [*_same(0, every.replace(symbol, "")), (0, symbol, symbol, 1, 1.0), *_same(1, every)], {0: 1.0, 1: weight})
+
+
+def targets() -> Transducer:
+    return _present("g", TARGETED)
+
+
+def negations() -> Transducer:
+    """Lowers the weight of a mark that stands up to NEGATION_REACH words after a negation."""
+    arcs = []
+    for left in range(NEGATION_REACH + 1):  # words that the last negation still reaches
+        arcs += _same(left, SYMBOLS.replace("n", ""), max(left - 1, 0))
+        arcs.append((left, "n", "n", NEGATION_REACH, 1.0))
+        arcs += _same(left, "IT", max(left - 1, 0), NEGATED if left else 1.0)
+    return Transducer(NEGATION_REACH + 1, arcs, {s: 1.0 for s in range(NEGATION_REACH + 1)})
+
+
+def reports() -> Transducer:
+    return _present("r", REPORTED)
+
+
+def grammar() -> Transducer:
+    """The composed machine: a clause's symbols to the sum over its marks."""
+    out = insults()
+    for machine in (threats(), targets(), negations(), reports()):
+        out = out.then(machine)
+    return out
+
+
 class Grammar:
     """Scans texts with a lexicon {entry: weight}."""
 
     def __init__(self, lexicon: dict[str, float]):
         import ahocorasick
 
+        machine = grammar()
+        self.final = machine.final
+        self.step = {s: machine.reading(s) for s in SYMBOLS}
+        plain = sum(m for (read, written), m in machine.arcs.items() if read == written == "i")
+        self.unmarked, self.marked = plain, self.step["i"] - plain
+        # after NEGATION_REACH + THREAT_REACH other words, more of them change nothing
+        self.others = [np.linalg.matrix_power(self.step["o"], k) for k in range(NEGATION_REACH + THREAT_REACH + 2)]
         self.automaton = ahocorasick.Automaton()
         self.weights: dict[str, tuple[float, float]] = {}
         for entry, weight in lexicon.items():
@@ -75,15 +149,14 @@ class Grammar:
             stem, whole = self.weights.get(word, (0.0, 0.0))
             self.weights[word] = (max(stem, weight), whole) if entry[0] == "*" else (stem, max(whole, weight))
         for word in CLASSES["threat"].split():
-            stem, whole = self.weights.get(word, (0.0, 0.0))
-            self.weights[word] = (stem, max(whole, THREAT))
+            self.weights.setdefault(word, (0.0, 0.0))
         for word in self.weights:
             self.automaton.add_word(word, word)
         self.automaton.make_automaton()
 
-    def hits(self, text: str) -> dict[int, tuple[int, float]]:
-        """Start of each lexicon word in a lower-cased text: (end, weight)."""
-        out: dict[int, tuple[int, float]] = {}
+    def hits(self, text: str) -> dict[int, float]:
+        """Starts of words of a lower-cased text that an entry fits or that threaten, and their weight as insults."""
+        out: dict[int, float] = {}
         for last, word in self.automaton.iter(text):
             start = last + 1 - len(word)
             if start and (text[start - 1].isalpha() or text[start - 1] == "'"):
@@ -91,41 +164,43 @@ class Grammar:
             stem, whole = self.weights[word]
             ends = last + 1 == len(text) or not text[last + 1].isalpha()
             weight = max(stem, whole if ends else 0.0)
-            if weight > out.get(start, (0, 0.0))[1]:
-                out[start] = (last + 1, weight)
+            if weight or ends and _CLASS_OF.get(word) == "threat":
+                out[start] = max(weight, out.get(start, 0.0))
         return out
 
     def clause(self, words: list[tuple[str, float]]) -> float:
-        """Weight that the composed transducers give to a clause: (word, own weight) in order."""
-        total, since_negation, targeted, reported = 0.0, NEGATION_REACH + 1, False, False
+        """Weight that the grammar gives to a clause of (word, weight as an insult)."""
+        state, run = np.eye(len(self.final))[0], 0
         for word, weight in words:
-            kind = _CLASS_OF.get(word)
-            since_negation = 0 if kind == "negation" else since_negation + 1
-            targeted |= kind == "target"
-            reported |= kind == "report"
-            if weight:
-                total += weight * (NEGATED if since_negation <= NEGATION_REACH else 1.0)
-        return total * (TARGETED if targeted else 1.0) * (REPORTED if reported else 1.0)
-
-    def features(self, text: str) -> tuple[float, float, float, float]:
-        """Of a text: 1 if any clause matched, log of the sum, the best clause, log of the number."""
-        low = text.lower()
+            symbol = "i" if weight else _SYMBOL_OF.get(_CLASS_OF.get(word), "o")
+            if symbol == "o":
+                run += 1
+                continue
+            if run:
+                state, run = state @ self.others[min(run, len(self.others) - 1)], 0
+            state = state @ (self.unmarked + weight * self.marked if symbol == "i" else self.step[symbol])
+        if run:
+            state = state @ self.others[min(run, len(self.others) - 1)]
+        return float(state @ self.final)
+
+    def clauses(self, low: str) -> list[float]:
+        """Scores of the clauses of a lower-cased text that hold an entry or a threat."""
         hits = self.hits(low)
-        if not hits:
-            return 0.0, 0.0, 0.0, 0.0
-        scores, done = [], -1
+        out, done = [], 0
         for start in sorted(hits):
             if start < done:
                 continue
-            a, b = start, start
-            floor = max(done, 0)
-            while a > floor and low[a - 1] not in ".!?;:\n" and start - a < 4096:
-                a -= 1
+            begin = max(done, *(low.rfind(c, done, start) + 1 for c in ".!?;:\n"))
             end = _CLAUSE_END.search(low, start)
-            b = min(end.start() if end else len(low), start + 4096)
-            done = max(b, start + 1)
-            words = [(m[0], hits[m.start()][1] if m.start() in hits else 0.0) for m in _WORD.finditer(low, a, done)]
-            scores.append(self.clause(words) or hits[start][1])
+            done = max(end.start() if end else len(low), start + 1)
+            out.append(self.clause([(m[0], hits.get(m.start(), 0.0)) for m in _WORD.finditer(low, begin, done)]))
+        return out
+
+    def features(self, text: str) -> tuple[float, float, float, float]:
+        """Of a text: 1 if any clause matched, log of the sum, the best clause, log of the number."""
+        scores = [s for s in self.clauses(text.lower()) if s > 0]
+        if not scores:
+            return 0.0, 0.0, 0.0, 0.0
         return 1.0, math.log1p(sum(scores)), max(scores), math.log1p(len(scores))
 
 
@@ -150,7 +225,22 @@ def pick_lexicon(rows: list, folds: tuple[int, ...], totals: dict[str, int]) ->
         shorter = [f"*{word[:k]}" for k in range(LEAST_STEM, len(word) + (entry[0] == "="))]
         if not any(kept.get(s, -1.0) >= bound[entry] - 0.25 for s in shorter):
             kept[entry] = bound[entry]
-    return dict(sorted(kept.items(), key=lambda x: (-x[1], x[0]))[:MOST_ENTRIES])
+    return kept
+
+
+def _promising(counted: DataFrame, totals: dict[str, int]) -> DataFrame:
+    """The rows whose lower bound reaches LEAST_BOUND and SHARE_OF_BEST in a fold or in both; as pick_lexicon asks."""
+    names = []
+    for folds in ((0, 1), (0,), (1,)):
+        t, c = (sum(totals[f"{k}{f}"] for f in folds) for k in ("toxic", "clean"))
+        x, y = (sum((F.col(f"{k}{f}") for f in folds), F.lit(0)) for k in ("toxic", "clean"))
+        odds = F.log((x + 0.5) / (t + 1)) - F.log((y + 0.5) / (c + 1))
+        low = odds - 1.64 * F.sqrt(1 / (x + 0.5) + 1 / (y + 0.5))
+        names.append("b" + "".join(map(str, folds)))
+        counted = counted.withColumn(names[-1], F.when((x >= 2) & (low >= LEAST_BOUND), low))
+    best = counted.agg(*[F.max(n).alias(n) for n in names]).first()
+    reach = [F.col(n) >= SHARE_OF_BEST * best[n] - 1e-9 for n in names if best[n] is not None]
+    return counted.where(reduce(or_, reach, F.lit(False))).drop(*names)
 
 
 def fit_logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2) -> np.ndarray:
@@ -214,11 +304,12 @@ def learn(docs: DataFrame, labels: DataFrame) -> tuple[dict[str, float], tuple[f
 
     counted = base.over_texts(sample, count, _COUNTS_SCHEMA, "toxic", "fold", most=8 << 20)
     counted = counted.groupBy("entry").agg(*[F.sum(c).alias(c) for c in ("toxic0", "clean0", "toxic1", "clean1")])
-    toxic, clean = F.col("toxic0") + F.col("toxic1"), F.col("clean0") + F.col("clean1")
-    best = counted.where((F.col("entry") == "") | ((toxic >= 2) & (toxic > clean))).orderBy(F.col("entry") != "", -(toxic - clean), "entry").limit(20 * MOST_ENTRIES).collect()
-    if not best or best[0]["entry"] != "":
+    counted = cut(counted)
+    totals = counted.where("entry = ''").collect()
+    if not totals:
         return {}, DEFAULT_MODEL
-    totals, rows = best[0].asDict(), [r.asDict() for r in best[1:]]
+    totals = totals[0].asDict()
+    rows = [r.asDict() for r in _promising(counted.where("entry <> ''"), totals).collect()]
     lexicon = pick_lexicon(rows, (0, 1), totals)
     crossed = sc.broadcast([pick_lexicon(rows, (1,), totals), pick_lexicon(rows, (0,), totals)])
 
