@@ -1,21 +1,29 @@
-"""Substring deduplication by factoring documents against an indexed reference.
-
-The reference of a document is the text of all documents with smaller ids.  Its index is
-sharded by fingerprint: (1) each window of 13 words has a minimiser, the least
-fingerprint of its 5-word sequences; minimisers seen in one document only cannot start a
-factor and are dropped; (2) windows under a shared minimiser are fingerprinted and each
-shard keeps the smallest document of a window; (3) a document is parsed from left to
-right into factors, the maximal runs of windows that the index holds under a smaller id;
-a factor's boundary is settled window by window, and all its words are removed.
+"""Substring deduplication by Relative Lempel-Ziv parsing.
+
+The reference of a document is the text of all documents with smaller ids, cut into
+blocks where the content says so (the hash of the last CONTEXT words; about one place in
+ANCHOR).  A block is indexed by the fingerprint of its words and the WINDOW - 1 words after it, under
+the least document that has it.  A document is parsed greedily from left to right: where
+its next block is in the index under a smaller id, a factor starts there, and it grows
+block by block for as long as the index goes on with the source's next block.  A factor is
+long enough by its making: every window that starts in it is in a smaller document.  At
+its boundaries, and in all that no block covers, the parse is settled word by word: a
+window of WINDOW words that a smaller document has starts or prolongs a factor.
+
+Only boundary windows are looked up, and only in what no indexed block covers: the least
+document that has a window has it there.  They are found in two steps: the windows'
+minimisers (least fingerprint of their 5-word sequences) that one document alone has are
+dropped, then windows under a shared minimiser are fingerprinted.  The index is sharded by
+fingerprint, so that a document meets those blocks alone that it shares something with.
 
 Rows that a batch can decide alone never meet others: of equal minimisers or windows in
 one batch a single row speaks for the batch, so the rows of one value grow with the
-batches, not with its copies.  Texts are shuffled once, by document.
+batches, not with its copies; a window over them can spill.  Texts are shuffled by document.
 
 Special cases: null or empty texts, and those under 13 words, lose nothing; repeated
 rows with one doc_id are not duplicates of each other (no smaller id); documents with
 a null doc_id are kept whole and are no reference; no rows give none; extra columns are
-ignored.  Windows are compared by 64-bit fingerprints.
+ignored.  Blocks and windows are compared by 64-bit fingerprints.
 """
 
 from __future__ import annotations
@@ -24,18 +32,48 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..session import cut
 from . import base, textvec
 
-WINDOW, GRAM, PIECE = 13, 5, 6 << 20
+WINDOW, GRAM, PIECE, CONTEXT, ANCHOR = 13, 5, 6 << 20, 3, 32
 _TOP = np.uint64(2**64 - 1)
 _ROWS = {"key": pa.int64(), "value": pa.int64(), "doc_id": pa.int64(), "settled": pa.bool_()}
 _ROW_SCHEMA = "key long, value long, doc_id long, settled boolean"
 
 
+class Blocks:
+    """The reference blocks of a piece: first word, number in the document, document row, fingerprint."""
+
+    def __init__(self, words: textvec.Words, hashes: np.ndarray):
+        value, at = words.grams(hashes, CONTEXT)
+        picked = at[(value >> np.uint64(40)) % np.uint64(ANCHOR) == 0] + CONTEXT
+        begin, stop = words.first[:-1], words.first[1:]
+        every = np.unique(np.concatenate([begin, picked]))
+        doc = np.searchsorted(begin, every, "right") - 1
+        # a block needs a window that starts in it
+        use = every + WINDOW <= stop[doc] if len(every) else np.zeros(0, bool)
+        self.first, self.doc = every[use], doc[use]
+        n = len(self.first)
+        fresh = np.ones(n, bool)
+        fresh[1:] = self.doc[1:] != self.doc[:-1]
+        self.number = np.arange(n) - np.maximum.accumulate(np.where(fresh, np.arange(n), 0)) if n else np.zeros(0, np.int64)
+        self.value = np.zeros(n, np.uint64)
+        # windows start up to the next block, or up to the last place where one fits
+        self.last = np.minimum(np.append(self.first[1:], len(words)), stop[self.doc] - WINDOW + 1) if n else self.first
+        if n:
+            size = self.last + WINDOW - 1 - self.first
+            total = np.cumsum(size)
+            place = np.arange(total[-1]) - np.repeat(total - size, size)
+            up, _ = textvec._table(int(size.max()) + 1)
+            sums = np.add.reduceat(textvec.mix(hashes[place + np.repeat(self.first, size)]) * up[place], total - size)
+            self.value = textvec.mix(sums + size.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+
+
 class Windows:
     """The 13-word windows of a piece: place, document row, minimiser."""
 
@@ -100,22 +138,54 @@ def _ids(rows) -> tuple[np.ndarray, np.ndarray]:
     return column.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64), ~np.asarray(column.is_null())
 
 
+_BLOCKS = {"key": pa.int64(), "value": pa.int64(), "doc_id": pa.int64(), "number": pa.int64(), "source": pa.int64(), "place": pa.int64(), "settled": pa.bool_()}
+_BLOCK_SCHEMA = "key long, value long, doc_id long, number long, source long, place long, settled boolean"
+
+
+def _blocks(data, offsets, rows):
+    """Of equal blocks in a batch the least document's row is open; the others have it as their source."""
+    ids, known = _ids(rows)
+    words = textvec.Words(data, offsets)
+    b = Blocks(words, words.hashes())
+    use = known[b.doc]
+    value, doc, number = b.value[use], ids[b.doc[use]], b.number[use]
+    order = np.lexsort((number, doc, value))
+    value, doc, number = value[order], doc[order], number[order]
+    fresh = np.ones(len(value), bool)
+    fresh[1:] = (value[1:] != value[:-1]) | (doc[1:] != doc[:-1])
+    value, doc, number = value[fresh], doc[fresh], number[fresh]
+    head = np.ones(len(value), bool)
+    head[1:] = value[1:] != value[:-1]
+    least = np.maximum.accumulate(np.where(head, np.arange(len(value)), 0)) if len(value) else np.zeros(0, np.int64)
+    return base.batch(_BLOCKS, key=np.where(head, value, _tag(value, doc)), value=value, doc_id=doc, number=number, source=doc[least], place=number[least], settled=~head)
+
+
+def _in_blocks(w: Windows, b: Blocks, good: np.ndarray) -> np.ndarray:
+    """Whether each window starts in one of the good blocks."""
+    if not len(b.first):
+        return np.zeros(len(w.at), bool)
+    at = np.maximum(np.searchsorted(b.first, w.at, "right") - 1, 0)
+    return good[at] & (w.at >= b.first[at]) & (w.at < b.last[at])
+
+
 def _minimisers(data, offsets, rows):
     ids, known = _ids(rows)
     w = Windows(data, offsets)
-    turn = np.ones(len(w.low), bool)
-    turn[1:] = (w.low[1:] != w.low[:-1]) | (w.doc[1:] != w.doc[:-1])
-    turn &= known[w.doc]
-    return _speak(w.low[turn], ids[w.doc[turn]], True)
+    b = Blocks(w.words, w.hashes)
+    open_ = known[w.doc] & ~_in_blocks(w, b, _marked(b.doc, b.value, rows.column(1)))
+    low, doc, at = w.low[open_], w.doc[open_], w.at[open_]
+    turn = np.ones(len(low), bool)
+    turn[1:] = (low[1:] != low[:-1]) | (at[1:] != at[:-1] + 1) | (doc[1:] != doc[:-1])
+    return _speak(low[turn], ids[doc[turn]], True)
 
 
-def _marked(w: Windows, values: np.ndarray, column: pa.Array) -> np.ndarray:
-    """Whether each of w's windows has its value in the list of its document."""
+def _marked(doc: np.ndarray, values: np.ndarray, column: pa.Array) -> np.ndarray:
+    """Whether each value, of these document rows, is in the list of its document."""
     lists = column.fill_null([]) if column.null_count else column
     count = np.diff(lists.offsets.to_numpy()) if len(lists) else np.zeros(0, np.int64)
     flat = lists.flatten().to_numpy(zero_copy_only=False).view(np.uint64) if len(lists) else np.zeros(0, np.uint64)
     wanted = np.unique(_tag(flat, np.repeat(np.arange(len(count)), count)))
-    tag = _tag(values, w.doc)
+    tag = _tag(values, doc)
     if not len(wanted):
         return np.zeros(len(tag), bool)
     at = np.minimum(np.searchsorted(wanted, tag), len(wanted) - 1)
@@ -123,14 +193,31 @@ def _marked(w: Windows, values: np.ndarray, column: pa.Array) -> np.ndarray:
 
 
 def _windows(data, offsets, rows):
-    if rows.column(1).null_count == len(rows.column(1)):
+    if rows.column(2).null_count == len(rows.column(2)):
         return None
     ids, known = _ids(rows)
     w = Windows(data, offsets)
-    which = np.flatnonzero(_marked(w, w.low, rows.column(1)))
+    b = Blocks(w.words, w.hashes)
+    open_ = ~_in_blocks(w, b, _marked(b.doc, b.value, rows.column(1)))
+    which = np.flatnonzero(open_ & _marked(w.doc, w.low, rows.column(2)))
     return _speak(w.fingerprints(which), ids[w.doc[which]], False)
 
 
+def _sources(b: Blocks, rows) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(whether the index has each block under a smaller id, source document, number of the block there)."""
+    good = _marked(b.doc, b.value, rows.column(1))
+    source, number = np.zeros(len(good), np.int64), np.zeros(len(good), np.int64)
+    lists = [rows.column(i) for i in (1, 2, 3)]
+    doc = np.repeat(np.arange(len(rows)), np.asarray(pa.compute.fill_null(pa.compute.list_value_length(lists[0]), 0)))
+    value, of, place = (x.flatten().to_numpy(zero_copy_only=False) for x in lists)
+    if len(value):
+        tag = _tag(value.view(np.uint64), doc)
+        order = np.argsort(tag)
+        at = order[np.minimum(np.searchsorted(tag, _tag(b.value, b.doc), sorter=order), len(tag) - 1)]
+        source, number = np.where(good, of[at], 0), np.where(good, place[at], 0)
+    return good, source, number
+
+
 _RESULT = {"doc_id": pa.int64(), "n_words": pa.int64(), "n_removed": pa.int64(), "kept_sha256": pa.string(), "n_factors": pa.int64(), "kept_text": pa.string()}
 
 
@@ -139,17 +226,19 @@ def _parse(with_text: bool):
         w = Windows(data, offsets)
         words = w.words
         n = len(words)
-        drop = np.zeros(n, bool)
-        factors = np.zeros(len(offsets) - 1, np.int64)
-        if rows.column(1).null_count < len(rows.column(1)):
-            hit = _marked(w, w.fingerprints(slice(None)), rows.column(1))
-            edge = np.zeros(n + 1, np.int64)
-            np.add.at(edge, w.at[hit], 1)
-            np.add.at(edge, w.at[hit] + WINDOW, -1)
-            drop = np.cumsum(edge)[:n] > 0
-            begin = hit.copy()
-            begin[1:] &= ~(hit[:-1] & (w.at[1:] == w.at[:-1] + 1))
-            factors = np.bincount(w.doc[begin], minlength=len(factors))
+        b = Blocks(words, w.hashes)
+        good, source, number = _sources(b, rows)
+        hit = _in_blocks(w, b, good) | _marked(w.doc, w.fingerprints(slice(None)), rows.column(4))
+        edge = np.zeros(n + 1, np.int64)
+        np.add.at(edge, w.at[hit], 1)
+        np.add.at(edge, w.at[hit] + WINDOW, -1)
+        drop = np.cumsum(edge)[:n] > 0
+        # greedy parse: a factor begins where the window before is not matched, or where the next block has another source
+        begin = hit.copy()
+        begin[1:] &= ~(hit[:-1] & (w.at[1:] == w.at[:-1] + 1))
+        again = np.flatnonzero(good[1:] & good[:-1] & (b.doc[1:] == b.doc[:-1]) & ((source[1:] != source[:-1]) | (number[1:] != number[:-1] + 1))) + 1
+        begin[np.searchsorted(w.at, b.first[again])] = True
+        factors = np.bincount(w.doc[begin], minlength=len(offsets) - 1)
         kept = np.flatnonzero(~drop)
         doc = words.doc()
         mask = np.zeros(len(data) + 1, np.int8)
@@ -181,18 +270,25 @@ def remove_repeats(docs: DataFrame, with_text: bool = False) -> DataFrame:
     """One row per document: doc_id, n_words, n_removed, kept_sha256, n_factors and, if
     with_text, kept_text."""
     df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    # the index of blocks: what more than one document has, under the least of them
 
     def shared(rows: DataFrame) -> DataFrame:
+        """rows with the least row and the greatest doc_id of their key."""
         by = Window.partitionBy("key")
-        return rows.withColumn("least", F.min("doc_id").over(by)).withColumn("most", F.max("doc_id").over(by))
-
-    lows = shared(base.over_texts(df, _minimisers, _ROW_SCHEMA, "doc_id", most=PIECE))
-    lows = lows.where("settled or least < most").groupBy("doc_id").agg(F.collect_list("value").alias("marks"))
-    marked = df.join(lows, "doc_id", "left")
-    found = shared(base.over_texts(marked, _windows, _ROW_SCHEMA, "doc_id", "marks", most=PIECE))
-    found = found.where("settled or least < doc_id").groupBy("doc_id").agg(F.collect_list("value").alias("marks"))
+        first = F.struct("doc_id", *[c for c in rows.columns if c == "number"])
+        return rows.withColumn("least", F.min(first).over(by)).withColumn("most", F.max("doc_id").over(by)).where("settled or least.doc_id < most")
+
+    covered = shared(base.over_texts(df, _blocks, _BLOCK_SCHEMA, "doc_id", most=PIECE)).where("settled or least.doc_id < doc_id")
+    origin = F.when(F.col("settled"), F.struct("value", "source", "place")).otherwise(F.struct("value", F.col("least.doc_id").alias("source"), F.col("least.number").alias("place")))
+    covered = covered.groupBy("doc_id").agg(F.collect_list(origin).alias("b"))
+    covered = cut(covered.select("doc_id", F.col("b.value").alias("blocks"), F.col("b.source").alias("sources"), F.col("b.place").alias("places")))
+    known = df.join(covered, "doc_id", "left")
+    lows = shared(base.over_texts(known, _minimisers, _ROW_SCHEMA, "doc_id", "blocks", most=PIECE))
+    lows = lows.groupBy("doc_id").agg(F.collect_list("value").alias("marks"))
+    found = shared(base.over_texts(known.join(lows, "doc_id", "left"), _windows, _ROW_SCHEMA, "doc_id", "blocks", "marks", most=PIECE))
+    found = found.where("settled or least.doc_id < doc_id").groupBy("doc_id").agg(F.collect_list("value").alias("marks"))
     schema = "doc_id long, n_words long, n_removed long, kept_sha256 string, n_factors long, kept_text string"
-    out = base.over_texts(df.join(found, "doc_id", "left"), _parse(with_text), schema, "doc_id", "marks", most=PIECE)
+    out = base.over_texts(known.join(found, "doc_id", "left"), _parse(with_text), schema, "doc_id", "blocks", "sources", "places", "marks", most=PIECE)
     return out if with_text else out.drop("kept_text")
 
 
