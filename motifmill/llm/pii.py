@@ -3,10 +3,10 @@
 Base kinds (email, ip, card, phone) are whole-text, leftmost, non-overlapping matches that
 pass their check; a match that fails is dropped and not tried again from another place.
 Further kinds come on top and never replace base spans: `iban` (mod-97), `secret`
-(key, token or password assignments), `card_like` (13-15 digits that pass Luhn, near a
-card word) and `phone_like` (local numbers near a phone word).  A span's score starts at
-its kind's prior, rises with a passed check and with each context word within reach; a
-further kind is reported from the threshold on.
+(key, token or password assignments), `card_like` (13-15 digits that pass Luhn) and `phone_like` (local numbers).  A span's
+score starts at its kind's prior, rises with a passed check and with the nearest context
+word of its kind, before or (half as much) after it, the more the nearer; a further kind
+is reported from the threshold on, and that alone decides.
 
 Special cases: a null or empty text has no spans and the SHA-256 of nothing; rows are
 judged each by itself, so repeats and ties repeat; no rows give none; extra columns are
@@ -27,7 +27,7 @@ from . import base
 
 BASE_KINDS = ("email", "ip", "card", "phone")
 MORE_KINDS = ("iban", "secret", "card_like", "phone_like")
-PRIOR = {"iban": 0.3, "secret": 0.4, "card_like": 0.1, "phone_like": 0.2}
+PRIOR = {"iban": 0.25, "secret": 0.2, "card_like": 0.15, "phone_like": 0.1}
 CHECKED, NEAR_WORD, THRESHOLD, REACH = 0.4, 0.3, 0.6, 48
 # Context words of each further kind.
 CONTEXT = {
@@ -99,6 +99,14 @@ def base_spans(text: str) -> dict[str, list[tuple[int, int]]]:
     }
 
 
+def nearness(text: str, a: int, b: int, words: tuple[str, ...]) -> float:
+    """From 0 to 1: how near a context word is to the span; one after it counts half."""
+    before, after = text[max(0, a - REACH) : a].lower(), text[b : b + REACH].lower()
+    ends = [len(before) - (at + len(w)) for w in words if (at := before.rfind(w)) >= 0]
+    begins = [at for w in words if (at := after.find(w)) >= 0]
+    return max([0.0, *(1 - d / REACH for d in ends), *(0.5 * (1 - d / REACH) for d in begins)])
+
+
 def more_spans(text: str, taken: list[tuple[int, int]]) -> list[tuple[str, int, int, float]]:
     """Further spans with their scores; those that touch a base span are left out."""
     proposed = [("iban", *m.span(), mod97(m[0])) for m in _IBAN.finditer(text)]
@@ -109,10 +117,7 @@ def more_spans(text: str, taken: list[tuple[int, int]]) -> list[tuple[str, int,
     for kind, a, b, passed in proposed:
         if not passed or any(a < y and x < b for x, y in taken):
             continue
-        near = text[max(0, a - REACH) : a].lower()
-        score = min(1.0, PRIOR[kind] + CHECKED + NEAR_WORD * any(w in near for w in CONTEXT[kind]))
-        if kind in ("card_like", "phone_like") and score < PRIOR[kind] + CHECKED + NEAR_WORD:
-            continue
+        score = min(1.0, PRIOR[kind] + CHECKED + NEAR_WORD * nearness(text, a, b, CONTEXT[kind]))
         if score >= THRESHOLD:
             out.append((kind, a, b, score))
     return out
