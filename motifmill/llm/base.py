@@ -19,11 +19,12 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
-def over_texts(df: DataFrame, fn: Callable, schema: str, *keep: str, most: int = textvec.PIECE_BYTES) -> DataFrame:
+def over_texts(df: DataFrame, fn: Callable, schema: str, *keep: str, most: int = textvec.PIECE_BYTES, then: Callable | None = None) -> DataFrame:
     """Run fn(data, offsets, rows) on pieces of bounded size; fn returns a RecordBatch or None.
 
     df needs `text`; `keep` are other columns that fn needs, handed over as `rows`
-    (a RecordBatch).  Nulls in text count as empty.  Narrow: no shuffle.
+    (a RecordBatch).  Nulls in text count as empty.  then: runs over a task's results.
+    Narrow: no shuffle.
     """
     ship(df.sparkSession)
 
@@ -37,7 +38,7 @@ def over_texts(df: DataFrame, fn: Callable, schema: str, *keep: str, most: int =
                 if out is not None and out.num_rows:
                     yield out
 
-    return df.select("text", *keep).mapInArrow(run, schema)
+    return df.select("text", *keep).mapInArrow((lambda batches: then(run(batches))) if then else run, schema)
 
 
 def filter_texts(df: DataFrame, keep: Callable) -> DataFrame:
