@@ -1,8 +1,8 @@
-"""Frequent labelled subgraphs of up to 3 edges by minimum-image support.
+"""Frequent labelled subgraphs by minimum-image support.
 
 Edge mode of the level engine.  Patterns of 1-3 edges are classified by expressions over
-labels in a canonical order of positions (`custom`), or by canonical search over distinct
-quick patterns (`generic`).  A domain is keyed by orbit: positions that an automorphism
+labels in a canonical order of positions (`custom`); larger ones, or all with plan
+`generic`, by canonical search over distinct quick patterns.  A domain is keyed by orbit: positions that an automorphism
 exchanges share one.
 """
 
@@ -15,7 +15,7 @@ from ..functions import patterns
 from ..graph import PropertyGraph
 from ..operators import engine, support
 from ..operators.rules import AppSpec
-from ..session import cut
+from ..session import cut, ship
 from . import triangles
 
 
@@ -97,10 +97,11 @@ def domains(df: DataFrame) -> DataFrame:
     return df.select("pattern", F.explode(rows).alias("d")).select("pattern", "d.orbit", "d.vid")
 
 
-def domains_generic(level: DataFrame) -> DataFrame:
-    """The same from distinct quick patterns by canonical search in a pandas function."""
+def named_generic(level: DataFrame) -> DataFrame:
+    """level with pattern and orbits, from distinct quick patterns by canonical search in a pandas function."""
     import pandas as pd
 
+    ship(level.sparkSession)
     quick = level.select("mask", "labels").distinct()
 
     def canonical(frames):
@@ -109,13 +110,21 @@ def domains_generic(level: DataFrame) -> DataFrame:
             yield pd.DataFrame({"mask": f["mask"], "labels": f["labels"], "pattern": [x[0] for x in found], "orbits": [x[1] for x in found]})
 
     table = quick.mapInPandas(canonical, "mask int, labels array<int>, pattern string, orbits array<int>")
-    both = level.join(table, ["mask", "labels"])
+    return level.join(cut(table), ["mask", "labels"])
+
+
+def domains_generic(level: DataFrame) -> DataFrame:
+    """pattern, orbit, vid of a level, by named_generic."""
+    return orbit_rows(named_generic(level))
+
+
+def orbit_rows(both: DataFrame) -> DataFrame:
     return both.select("pattern", F.explode(F.arrays_zip("orbits", "vids")).alias("d")).select("pattern", F.col("d.orbits").alias("orbit"), F.col("d.vids").alias("vid"))
 
 
 # -- shape plans: the same domains by joins per shape, all inside generated code ----------
 
-BITS = 12
+BITS, MOST_EDGES = 12, 7  # a mask of 8 vertices fits 32 bits
 SHAPES = {1: ("edge", 2), 2: ("wedge", 3), 3: ("triangle", 3), 4: ("3-star", 4), 5: ("3-path", 4)}
 
 
@@ -212,44 +221,58 @@ def _mine_shapes(graph: PropertyGraph, max_edges: int, sigma: int, support_of) -
 
 
 def mine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str = "rows", kind: str = "mni", unsafe: bool = False, plan: str = "shapes") -> DataFrame:
-    """n_edges, pattern, support of every frequent pattern of up to max_edges (1-3) edges.
+    """n_edges, pattern, support of every frequent pattern of up to max_edges edges.
 
-    plan: `shapes` joins shape by shape; `engine` grows edge by edge in the level engine.
+    plan: `shapes` joins shape by shape (up to 3 edges); `engine` grows edge by edge in the
+    level engine; `generic` does so too and classifies by canonical search at every size, as
+    the others do past 3 edges.  Patterns of generic search are named by their code.
+    mode `early` stops a domain at sigma, which then is the support told.
     Both drop what has an infrequent part before they grow it - except for kind
     `frequency`, which is not anti-monotone: there nothing is dropped unless unsafe=True,
     which loses patterns."""
     if kind not in ("mni", "mni_approx", "frequency"):
         raise ValueError(f"unknown support {kind!r}")
-    if not 1 <= max_edges <= 3:
-        raise ValueError("patterns of 1 to 3 edges are covered")
-    if plan == "shapes" and kind != "frequency":
+    if not 1 <= max_edges <= MOST_EDGES:
+        raise ValueError(f"patterns of 1 to {MOST_EDGES} edges are covered")
+    if plan not in ("shapes", "engine", "generic"):
+        raise ValueError(f"unknown plan {plan!r}")
+    if plan == "shapes" and max_edges <= 3 and kind != "frequency":
         top = graph.vertex_labels().agg(F.min("label").alias("x"), F.max("label").alias("y")).first()
         if top["x"] is not None and (top["x"] < 0 or top["y"] >= 1 << BITS):
             raise ValueError(f"labels outside 0..{(1 << BITS) - 1} need plan='engine'")
-        return _mine_shapes(graph, max_edges, sigma, lambda d: support.mni(d, "approx" if kind == "mni_approx" else mode))
-    return _mine_engine(graph, max_edges, sigma, mode, kind, drop=kind != "frequency" or unsafe)
+        return _mine_shapes(graph, max_edges, sigma, lambda d: _support(d, sigma, mode, kind))
+    return _mine_engine(graph, max_edges, sigma, mode, kind, kind != "frequency" or unsafe, plan == "generic")
+
+
+def _support(domains: DataFrame, sigma: int, mode: str, kind: str) -> DataFrame:
+    if mode == "early":
+        return support.mni_at_least(domains, sigma)
+    return support.mni(domains, "approx" if kind == "mni_approx" else mode)
 
 
-def _mine_engine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str, kind: str, drop: bool) -> DataFrame:
+def _mine_engine(graph: PropertyGraph, max_edges: int, sigma: int, mode: str, kind: str, drop: bool, generic: bool) -> DataFrame:
     app = AppSpec(mode="edge")
     level, out, g = engine.seed(graph, app), None, graph
     for n in range(1, max_edges + 1):
         if n > 1:
             level = engine.grow_edges(level, g, app)
-        level = named(level)
+        searched = generic or n > 3
+        if searched:
+            level = cut(level)
+        level = named_generic(level) if searched else named(level)
         if kind == "frequency":
             found = level.groupBy("pattern").agg(F.count("*").alias("support"))
         else:
             if n < max_edges:
                 level = cut(level)
-            found = support.mni(domains(level), "approx" if kind == "mni_approx" else mode)
+            found = _support(orbit_rows(level) if searched else domains(level), sigma, mode, kind)
         keep = cut(found.where(F.col("support") >= sigma))
         part = keep.select(F.lit(n).alias("n_edges"), "pattern", "support")
         out = part if out is None else out.unionByName(part)
         if n < max_edges and not drop:
-            level = cut(level.drop("shape", "own", "pattern"))
+            level = cut(level.drop("shape", "own", "pattern", "orbits"))
         elif n < max_edges:
-            level = cut(level.join(F.broadcast(keep.select("pattern")), "pattern", "left_semi").drop("shape", "own", "pattern"))
+            level = cut(level.join(F.broadcast(keep.select("pattern")), "pattern", "left_semi").drop("shape", "own", "pattern", "orbits"))
             if n == 1:  # no frequent pattern has an infrequent edge: grow in what is left
                 g = PropertyGraph(cut(level.select(F.col("vids")[0].alias("src"), F.col("vids")[1].alias("dst"))), graph.labels)
     return out

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import math
+from functools import reduce
 from itertools import combinations_with_replacement, permutations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -143,6 +146,51 @@ def dfs_motifs(graph: PropertyGraph, k: int) -> DataFrame:
     return names.join(found, "pattern", "left").select("pattern", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
 
 
+# -- hand-written triangle counter -------------------------------------------
+
+
+def hand_triangles(graph: PropertyGraph, chunk: int = 1 << 20) -> DataFrame:
+    """Ordered adjacency in flat arrays, broadcast behind a check of its size; a task takes
+    edges and closes the wedges above them by a hash-free probe of sorted arc numbers."""
+    spark = graph.edges.sparkSession
+    ship(spark)
+    csr = connect.broadcast_csr(graph)
+    ids, first, nbrs = csr.value
+    size = np.diff(first)
+    src, dst = np.repeat(np.arange(len(ids)), size), np.searchsorted(ids, nbrs)
+    rank = np.empty(len(ids), np.int64)
+    rank[np.lexsort((ids, size))] = np.arange(len(ids))
+    up = rank[src] < rank[dst]
+    a, b = rank[src[up]], rank[dst[up]]
+    order = np.lexsort((b, a))
+    a, b = a[order], b[order]
+    held = spark.sparkContext.broadcast((np.searchsorted(a, np.arange(len(ids) + 1)), b, a * len(ids) + b))
+    csr.unpersist()
+    n_arcs = len(b)
+
+    def close(batches):
+        begin, out, arcs = held.value
+        n = len(begin) - 1
+        owner = arcs // max(n, 1)
+        for batch in batches:
+            at = batch.column(0).to_numpy()
+            at = np.concatenate([np.arange(x * chunk, min((x + 1) * chunk, len(out))) for x in at.tolist()])
+            total = 0
+            for lo in range(0, len(at), 1 << 14):
+                own = at[lo : lo + (1 << 14)]
+                # the wedge (a; b, c): c runs over what follows b in a's list
+                left = begin[owner[own] + 1] - own - 1
+                ends = np.cumsum(left)
+                third = np.arange(ends[-1]) - np.repeat(ends - left, left) + np.repeat(own + 1, left)
+                want = np.repeat(out[own], left) * n + out[third]
+                place = np.minimum(np.searchsorted(arcs, want), len(arcs) - 1)
+                total += int((arcs[place] == want).sum())
+            yield pa.RecordBatch.from_arrays([pa.array([total], pa.int64())], ["n"])
+
+    parts = -(-n_arcs // chunk)
+    return spark.range(0, parts, 1, max(1, parts)).mapInArrow(close, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("triangles"))
+
+
 # -- triangle counters -----------------------------------------------------
 
 
@@ -163,9 +211,16 @@ def task_triangles(graph: PropertyGraph) -> DataFrame:
     return both.groupBy("src").applyInPandas(task, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("triangles"))
 
 
-def coloured_triangles(graph: PropertyGraph, colours: int = 3) -> DataFrame:
-    """Vertices get hashed colours; each multiset of three colours is a partition that
+def colours_for(edges: int, budget: int) -> int:
+    """Colours c so that a part, which holds the edges among three colours (9 in c * c), has
+    about `budget` edges at most."""
+    return max(3, math.ceil(3 * math.sqrt(edges / budget)))
+
+
+def coloured_triangles(graph: PropertyGraph, colours: int | None = None, budget: int = 50_000) -> DataFrame:
+    """Vertices get hashed colours, as many as keep a part within a budget of edges; each multiset of three colours is a partition that
     holds the edges among its colours and counts the triangles of exactly these colours."""
+    colours = colours or colours_for(graph.edges.count(), budget)
     c = lambda v: F.pmod(F.xxhash64(v), F.lit(colours)).cast("int")
     triples = [list(t) for t in combinations_with_replacement(range(colours), 3)]
     e = graph.edges.select("src", "dst", c("src").alias("a"), c("dst").alias("b"))
@@ -236,12 +291,23 @@ COMPILED = {
 }
 
 
-def matches(graph: PropertyGraph, pattern: str, induced: bool = False) -> DataFrame:
-    """All ordered matches of a pattern, no symmetry test while extending."""
-    edges = COMPILED[pattern]
+def automorphisms_of(edges: list[tuple[int, int]]) -> int:
+    on, k = {frozenset(e) for e in edges}, 1 + max(max(e) for e in edges)
+    return sum(all(frozenset(p[i] for i in e) in on for e in on) for p in permutations(range(k)))
+
+
+def matches_of(graph: PropertyGraph, edges: list[tuple[int, int]], induced: bool = False, shared: dict | None = None) -> DataFrame:
+    """All ordered matches of a pattern, no symmetry test while extending.
+
+    shared: joins that patterns have in common, by their edges; what is in it is read, what
+    is made here is added (and materialised, as it is there to be read again)."""
     k = 1 + max(max(e) for e in edges)
     level = graph.arcs.select(F.col("src").alias("v0"), F.col("dst").alias("v1"))
     for size in range(2, k):
+        part = frozenset(frozenset(e) for e in edges if max(e) <= size)
+        if shared is not None and part in shared:
+            level = shared[part]
+            continue
         back = [i for i in range(size) if (i, size) in edges]
         step = graph.arcs.select(F.col("src").alias(f"v{back[0]}"), F.col("dst").alias(f"v{size}"))
         level = level.join(step, f"v{back[0]}")
@@ -250,6 +316,8 @@ def matches(graph: PropertyGraph, pattern: str, induced: bool = False) -> DataFr
                 level = level.where(F.col(f"v{j}") != F.col(f"v{size}"))
         for j in back[1:]:
             level = level.join(graph.arcs.select(F.col("src").alias(f"v{j}"), F.col("dst").alias(f"v{size}")), [f"v{j}", f"v{size}"], "left_semi")
+        if shared is not None and size < k - 1:
+            level = shared[part] = cut(level)
     if induced:
         for i, j in patterns.pairs(k):
             if (i, j) not in edges:
@@ -257,16 +325,20 @@ def matches(graph: PropertyGraph, pattern: str, induced: bool = False) -> DataFr
     return level
 
 
-def compiled_count(graph: PropertyGraph, pattern: str, induced: bool = False) -> DataFrame:
+def matches(graph: PropertyGraph, pattern: str, induced: bool = False, shared: dict | None = None) -> DataFrame:
+    return matches_of(graph, COMPILED[pattern], induced, shared)
+
+
+def compiled_count(graph: PropertyGraph, pattern: str, induced: bool = False, shared: dict | None = None) -> DataFrame:
     """pattern, n: ordered matches divided by the automorphisms of the pattern."""
-    edges = {frozenset(e) for e in COMPILED[pattern]}
-    k = 1 + max(max(e) for e in COMPILED[pattern])
-    autos = sum(all(frozenset(p[i] for i in e) in edges for e in edges) for p in permutations(range(k)))
-    return matches(graph, pattern, induced).agg(F.expr(f"count(*) div {autos}").alias("n")).select(F.lit(pattern).alias("pattern"), "n")
+    found = matches(graph, pattern, induced, shared)
+    return found.agg(F.expr(f"count(*) div {automorphisms_of(COMPILED[pattern])}").alias("n")).select(F.lit(pattern).alias("pattern"), "n")
 
 
-def frequency_fsm(graph: PropertyGraph, max_edges: int, sigma: int) -> DataFrame:
-    return frequent.mine(graph, max_edges, sigma, kind="frequency")
+def compiled_motifs(graph: PropertyGraph, names: tuple[str, ...]) -> DataFrame:
+    """Induced counts of several patterns, whose common joins are done once."""
+    shared: dict = {}
+    return reduce(DataFrame.unionByName, [compiled_count(graph, p, True, shared) for p in names])
 
 
 # -- recursive frequent-subgraph miner --------------------------------------

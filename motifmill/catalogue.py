@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from . import measures
 from .apps import cliques, frequent, motifs, triangles
-from .baselines import formula_motifs, others
+from .baselines import formula_motifs, frequent_others, others
 from .graph import PropertyGraph, dense_ids, label_dictionary
 from .operators import blocking, connect, engine, levels, relational, support
 from .operators.rules import AppSpec
@@ -132,19 +132,27 @@ add("mc3_list_comin", on("comin", lambda g: motifs.listing(g, 3).select(F.array_
     "EXISTS (SELECT 1 FROM r z WHERE z.src = x.dst AND z.dst = y.dst) AS closed FROM r x JOIN r y ON x.src = y.src AND x.dst < y.dst) GROUP BY s")
 
 
-def _layout(g: PropertyGraph, layout: str):
-    """3-motifs with the last stored level read back from a layout."""
-    store = levels.Store(layout)
-    app = AppSpec()
-    level = engine.seed(g, app)
-    store.put(2, level)
-    store.put(3, engine.grow_vertices(store.get(2), 2, g, app))
-    quick = store.get(3).groupBy("mask").agg(F.count("*").alias("n"))
-    return motifs.classify(quick, 3, "custom").groupBy("pattern").agg(F.sum("n").cast("long").alias("n"))
+def _layout(g: PropertyGraph, layout: str, k: int):
+    """Motifs with every level stored in a layout and grown from it."""
+    level, _ = engine.mine_stored(g, AppSpec(), k, layout)
+    return motifs.classify(level.groupBy("mask").agg(F.count("*").alias("n")), k, "custom").groupBy("pattern").agg(F.sum("n").cast("long").alias("n"))
 
 
 for layout in levels.LAYOUTS:
-    add(f"abl_layout_{layout}", on("copart_r", lambda g, layout=layout: _layout(g, layout)), mc3_sql("copart_r"))
+    add(f"abl_layout_{layout}", on("copart_r", lambda g, layout=layout: _layout(g, layout, 3)), mc3_sql("copart_r"))
+    add(f"abl_layout4_{layout}", on("comin", lambda g, layout=layout: _layout(g, layout, 4)), mc4_sql("comin"))
+
+
+def measure_layout_bytes(spark, sf_dir):
+    """Bytes that each level takes in each layout, three and four vertices."""
+    g, rows = graphs.load(spark, sf_dir, "comin"), []
+    for layout in levels.LAYOUTS:
+        _, store = engine.mine_stored(g, AppSpec(), 4, layout)
+        rows += [(layout, size, store.bytes(size)) for size in (3, 4)]
+    return spark.createDataFrame(rows, "layout string, size int, bytes long")
+
+
+add("measure_layout_bytes", measure_layout_bytes)
 add("op_overapprox_store", on("comin", others.overapproximation))
 
 for label, sigmas in (("type", (100, 200, 250, 300)), ("brand", (10, 20, 30))):
@@ -166,7 +174,7 @@ def _at_least(g: PropertyGraph):
 
 
 add("fsm_support_at_least", on("copart_r", _at_least, "p_type"), f"SELECT pattern FROM ({fsm_sql('copart_r', 'p_type', 1, 250)})")
-add("fsm3_frequency", on("copart_r", lambda g: others.frequency_fsm(g, 2, 100), "p_type"),
+add("fsm3_frequency", on("copart_r", lambda g: frequent_others.compiled_frequency(g, 2, 100), "p_type"),
     f"WITH e AS ({graphs.SQL['copart_r']}), l AS (SELECT p_partkey AS id, dense_rank() OVER (ORDER BY p_type) AS label FROM part), "
     "r AS (SELECT src, dst, a.label AS ls, b.label AS ld FROM (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e) JOIN l a ON a.id = src JOIN l b ON b.id = dst) "
     "SELECT * FROM (SELECT 1 AS n_edges, 'edge:' || least(ls, ld) || '-' || greatest(ls, ld) AS pattern, count(*)::BIGINT AS support FROM r WHERE src < dst GROUP BY 2 UNION ALL "
@@ -187,16 +195,14 @@ add("b6_cf5", on("copart_r", lambda g: others.compiled_count(g, "5-clique").sele
 add("b6_mc3", on("copart_r", lambda g: others.compiled_count(g, "wedge", True).unionByName(others.compiled_count(g, "triangle", True))), mc3_sql("copart_r"))
 
 
-def _compiled_mc4(g):
-    out = None
-    for p in ("4-clique", "diamond", "4-cycle", "tailed-triangle", "3-star", "4-path"):
-        part = others.compiled_count(g, p, True)
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
-add("b6_mc4", on("comin", _compiled_mc4), mc4_sql("comin"))
-add("h1_tc", on("copart_r", lambda g: triangles.count(g, method="intersect")), tc_sql("copart_r"))
+add("b6_mc4", on("copart_r", lambda g: others.compiled_motifs(g, ("4-clique", "diamond", "4-cycle", "tailed-triangle", "3-star", "4-path"))), mc4_sql("copart_r"))
+for p in (10, 20, 50, 100):
+    add(f"b2_cf4_p{p}", on("copart_r", lambda g, p=p: others.relational_cliques(g, 4, p)), clique_sql("copart_r", 4))
+for s in (100, 200, 250, 300):
+    add(f"b1_fsm3_type_s{s}", on("copart_r", lambda g, s=s: frequent_others.filter_process_frequent(g, 2, s), "p_type"), fsm_sql("copart_r", "p_type", 2, s))
+    add(f"b2_fsm3_type_s{s}", on("copart_r", lambda g, s=s: frequent_others.relational_frequent(g, 2, s), "p_type"), fsm_sql("copart_r", "p_type", 2, s))
+    add(f"b4_fsm3_type_s{s}", on("copart_r", lambda g, s=s: frequent_others.dfs_frequent(g, 2, s), "p_type"), fsm_sql("copart_r", "p_type", 2, s))
+add("h1_tc", on("copart_r", others.hand_triangles), tc_sql("copart_r"))
 add("h2_tc", on("copart_r", others.coloured_triangles), tc_sql("copart_r"))
 add("h3_cf4", on("copart_r", lambda g: others.local_graph_cliques(g, 4)), clique_sql("copart_r", 4))
 add("h3_cf5", on("doc_line", lambda g: others.local_graph_cliques(g, 5)), clique_sql("doc_line", 5))

@@ -7,7 +7,7 @@ mask, so that a new vertex j appends `bits << j(j-1)/2`.
 from __future__ import annotations
 
 from functools import lru_cache
-from itertools import permutations
+from itertools import permutations, product
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -137,23 +137,39 @@ def classify4(mask: Column) -> Column:
     )
 
 
-def canonical_labelled(mask: int, labels: list[int]) -> tuple[str, list[int]]:
-    """(code, orbit of each position) of a labelled pattern, over all renumberings that
-    keep labels sorted.  Positions of one orbit are exchanged by automorphisms."""
-    k = len(labels)
+@lru_cache(1 << 16)
+def _canonical_ranked(mask: int, ranks: tuple[int, ...]) -> tuple[tuple, tuple[int, ...]]:
+    """(edges, orbit of each position) for labels that are given by their ranks."""
+    k = len(ranks)
     on = [(i, j) for b, (i, j) in enumerate(pairs(k)) if mask >> b & 1]
+    groups = [[i for i in range(k) if ranks[i] == r] for r in sorted(set(ranks))]
     best, maps = None, []
-    for perm in permutations(range(k)):  # perm[i]: new place of position i
-        word = [0] * k
-        for i, p in enumerate(perm):
-            word[p] = labels[i]
-        if any(word[i] > word[i + 1] for i in range(k - 1)):
-            continue
-        code = (word, sorted(sorted((perm[i], perm[j])) for i, j in on))
+    for orders in product(*(permutations(g) for g in groups)):
+        perm = [0] * k  # new place of each position: sorted by label, all orders within one
+        for place, i in enumerate(i for order in orders for i in order):
+            perm[i] = place
+        code = tuple(sorted(tuple(sorted((perm[i], perm[j]))) for i, j in on))
         if best is None or code < best:
             best, maps = code, [perm]
         elif code == best:
             maps.append(perm)
-    orbit = [min(p[i] for p in maps) for i in range(k)]
-    word, edges = best
-    return "-".join(map(str, word)) + "|" + ",".join(f"{i}.{j}" for i, j in edges), orbit
+    return best, tuple(min(p[i] for p in maps) for i in range(k))
+
+
+def canonical_labelled(mask: int, labels: list[int]) -> tuple[str, list[int]]:
+    """(code, orbit of each position) of a labelled pattern, over all renumberings that
+    keep labels sorted.  Positions of one orbit are exchanged by automorphisms."""
+    word = sorted(labels)
+    order = sorted(set(labels))
+    edges, orbit = _canonical_ranked(mask, tuple(order.index(x) for x in labels))
+    return "-".join(map(str, word)) + "|" + ",".join(f"{i}.{j}" for i, j in edges), list(orbit)
+
+
+def of_code(code: str) -> tuple[int, list[int]]:
+    """(mask, labels) of a code."""
+    word, edges = code.split("|")
+    mask = 0
+    for e in edges.split(","):
+        i, j = map(int, e.split("."))
+        mask |= 1 << offset(max(i, j)) + min(i, j)
+    return mask, [int(x) for x in word.split("-")]

@@ -55,15 +55,16 @@ def broadcast_csr(graph: PropertyGraph, most: int = BROADCAST_BYTES):
 
 def _binary(cand: DataFrame, size: int, graph: PropertyGraph) -> DataFrame:
     ship(cand.sparkSession)
-    held = broadcast_csr(graph)
+    csr = broadcast_csr(graph)
+    ids, first, nbrs = csr.value
+    # arcs as single numbers, made once: a probe is one binary search
+    held = cand.sparkSession.sparkContext.broadcast((ids, np.repeat(np.arange(len(ids)), np.diff(first)) * len(ids) + np.searchsorted(ids, nbrs)))
+    csr.unpersist()
     names = cand.columns
     at_u, at_v = names.index("u"), [names.index(f"v{j}") for j in range(size)]
 
     def probe(batches):
-        ids, first, nbrs = held.value
-        dense = np.repeat(np.arange(len(ids)), np.diff(first))
-        rank = np.searchsorted(ids, nbrs)
-        keys = dense * len(ids) + rank
+        ids, keys = held.value
         for batch in batches:
             u = np.searchsorted(ids, batch.column(at_u).to_numpy())
             bits = np.zeros(batch.num_rows, np.int32)

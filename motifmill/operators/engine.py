@@ -19,7 +19,7 @@ from ..graph import PropertyGraph
 from ..plans.planning import phases_for
 from ..session import cut
 from . import automorphism, connect
-from .levels import scratch
+from .levels import Store, scratch
 from .rules import AppSpec, last_position
 
 
@@ -41,9 +41,15 @@ def seed(graph: PropertyGraph, app: AppSpec) -> DataFrame:
     )
 
 
-def grow_vertices(level: DataFrame, size: int, graph: PropertyGraph, app: AppSpec) -> DataFrame:
+def _stored(cand: DataFrame) -> DataFrame:
+    path = scratch(cand, "candidates")
+    cand.write.parquet(path)
+    return cand.sparkSession.read.parquet(path)
+
+
+def grow_vertices(level: DataFrame, size: int, graph: PropertyGraph, app: AppSpec, keep: tuple[str, ...] = ()) -> DataFrame:
     """Children of a vertex-mode level, with bits; the candidate list is never stored
-    unless the application asks for that."""
+    unless the application asks for that.  keep: other columns that children take over."""
     positions = app.expand(size)
     vids = [f"v{j}" for j in range(size)]
     arcs = graph.orient(app.orient) if app.orient else graph.arcs
@@ -57,16 +63,14 @@ def grow_vertices(level: DataFrame, size: int, graph: PropertyGraph, app: AppSpe
         cand = cand.where(F.col("u") > F.col("v0"))
     cand = cand.drop("_from")
     if app.materialize_candidates:
-        path = scratch(cand, "candidates")
-        cand.write.parquet(path)
-        cand = cand.sparkSession.read.parquet(path)
+        cand = _stored(cand)
     cand = connect.position_bits(cand, size, graph, app.connectivity)
     bits, u, cols = F.col("bits"), F.col("u"), [F.col(v) for v in vids]
     admit = app.admit(cols, bits, u) if app.admit else automorphism.vertex_canonical(cols, bits, u)
     first = F.lit(True)
     if len(positions) > 1:  # of several parents' ends only the first adjacent one emits
         first = bits.bitwiseAND(F.call_function("shiftleft", F.lit(1), F.col("h")) - 1) == 0
-    return cand.where(admit & first).select(*cols, u.alias(f"v{size}"), F.col("mask").bitwiseOR(F.shiftleft(bits, offset(size))).alias("mask"))
+    return cand.where(admit & first).select(*cols, u.alias(f"v{size}"), F.col("mask").bitwiseOR(F.shiftleft(bits, offset(size))).alias("mask"), *keep)
 
 
 def grow_edges(level: DataFrame, graph: PropertyGraph, app: AppSpec) -> DataFrame:
@@ -76,6 +80,8 @@ def grow_edges(level: DataFrame, graph: PropertyGraph, app: AppSpec) -> DataFram
     grown = level.select("*", F.posexplode("vids").alias("p", "x")).join(arcs, "x")
     grown = grown.withColumn("q", F.array_position("vids", F.col("u")).cast("int") - 1).where((F.col("q") < 0) | (F.col("p") < F.col("q")))
     lo, hi = F.least("x", "u"), F.greatest("x", "u")
+    if app.materialize_candidates:
+        grown = _stored(grown)
     admit = app.admit_edge(F.col("edges"), lo, hi) if app.admit_edge else automorphism.edge_canonical(F.col("edges"), lo, hi)
     n = F.size("vids")
     at = F.when(F.col("q") < 0, n).otherwise(F.col("q"))
@@ -132,6 +138,15 @@ def mine(graph: PropertyGraph, app: AppSpec, max_size: int, seeds: DataFrame | N
     return MineResult(levels, maps, stats)
 
 
+def mine_stored(graph: PropertyGraph, app: AppSpec, max_size: int, layout: str = "wide") -> tuple[DataFrame, Store]:
+    """(last level, store) of a vertex-mode run whose levels are kept in a layout and grown from it."""
+    store = Store(layout)
+    store.put(2, seed(graph, app))
+    for size in range(2, max_size):
+        store.put(size + 1, grow_vertices(store.get(size), size, graph, app, store.link))
+    return store.get(max_size), store
+
+
 def level_stats(graph: PropertyGraph, positions: str = "all", orient: str | None = None) -> DataFrame:
     """Neighbour visits of the first growth: what orientation and last-only growth save."""
     source = graph.orient(orient) if orient else graph.edges

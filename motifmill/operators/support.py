@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
+
+from ..session import ship
 
 MODES = ("rows", "set", "bitmap", "approx", "udaf")
 
@@ -28,10 +30,27 @@ def mni(domains: DataFrame, mode: str = "rows", rsd: float = 0.02) -> DataFrame:
 
 
 def mni_at_least(domains: DataFrame, sigma: int) -> DataFrame:
-    """Patterns whose support reaches sigma; an orbit keeps sigma vertices at most."""
-    place = F.row_number().over(Window.partitionBy("pattern", "orbit").orderBy("vid"))
-    per = domains.distinct().withColumn("p", place).where(F.col("p") <= sigma).groupBy("pattern", "orbit").agg(F.count("*").alias("n"))
-    return per.groupBy("pattern").agg(F.min("n").alias("support")).where(F.col("support") >= sigma)
+    """Patterns whose support reaches sigma, with sigma as their support.
+
+    A task passes on sigma different vertices of a domain at most and forgets what comes
+    after: its state and what it shuffles end at sigma, however often the pattern occurs."""
+
+    def first_ones(batches):
+        seen: dict[tuple, set[int]] = {}
+        for batch in batches:
+            keep = []
+            for i, (p, o, v) in enumerate(zip(*(batch.column(c).to_pylist() for c in range(3)))):
+                own = seen.setdefault((p, o), set())
+                if len(own) < sigma and v not in own:
+                    own.add(v)
+                    keep.append(i)
+            yield batch.take(pa.array(keep, pa.int64()))
+
+    ship(domains.sparkSession)
+    some = domains.select("pattern", "orbit", F.col("vid").cast("long").alias("vid"))
+    some = some.mapInArrow(first_ones, some.schema)
+    per = some.distinct().groupBy("pattern", "orbit").agg(F.count("*").alias("n"))
+    return per.groupBy("pattern").agg(F.min("n").alias("n")).where(F.col("n") >= sigma).select("pattern", F.lit(sigma).cast("long").alias("support"))
 
 
 def distinct_udaf():

@@ -38,6 +38,20 @@ def prefix_sum(df: DataFrame, order: list[str], value: str, name: str = "start_o
     return out.withColumn(name, (F.col("_o") + F.col("_w")).cast("long")).drop("_part", "_o", "_w")
 
 
+def number_rows(df: DataFrame, name: str) -> DataFrame:
+    """df with dense row numbers from 0: rows are counted by partition, the counts become
+    offsets, and a row's number is its offset and its place; nothing is sorted or shuffled."""
+    from ..session import cut
+
+    seq = F.monotonically_increasing_id()
+    parts = cut(df.withColumn("_seq", seq))
+    part = F.shiftright("_seq", 33)
+    before = Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = parts.groupBy(part.alias("_part")).agg(F.count("*").alias("_n")).withColumn("_o", F.coalesce(F.sum("_n").over(before), F.lit(0))).select("_part", "_o")
+    out = parts.withColumn("_part", part).join(F.broadcast(offsets), "_part")
+    return out.withColumn(name, (F.col("_o") + F.col("_seq").bitwiseAND((1 << 33) - 1)).cast("long")).drop("_part", "_seq", "_o")
+
+
 def blocks_for(total_children: int, budget_rows: int) -> int:
     return max(1, -(-int(total_children) // max(1, budget_rows)))
 

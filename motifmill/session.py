@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import gc
 import os
+import re
 import tempfile
+import uuid
 import zipfile
 
 from pyspark.sql import DataFrame, SparkSession
@@ -13,7 +16,11 @@ def checkpoint_folder(spark: SparkSession) -> str:
     """The shared folder that the cluster names; one of our own only where none is set (tests)."""
     jsc = spark.sparkContext._jsc.sc()
     if jsc.getCheckpointDir().isEmpty():
-        named = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="motifmill-checkpoints-")
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named:
+            if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+            named = tempfile.mkdtemp(prefix="motifmill-checkpoints-")
         spark.sparkContext.setCheckpointDir(named)
     return jsc.getCheckpointDir().get()
 
@@ -24,6 +31,20 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def keep(df: DataFrame, name: str) -> DataFrame:
+    """df written as a compressed table in the shared folder, and read from there: what cut()
+    does, for large results (checkpoints are not compressed)."""
+    path = f"{checkpoint_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def sweep(spark: SparkSession) -> None:
+    """Let Spark's cleaner drop the shuffle files of results that nothing refers to any more."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 ARROW_BATCH_BYTES = 4 << 20
 
 
