@@ -152,12 +152,17 @@ _LINK = {"a": pa.int64(), "b": pa.int64()}
 def _compare_rest(families: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Links between members of a family (hub, node, component) that are in different
     components.  The queries of a family, its members outside the hub's component, are
-    held against all members in blocks of BLOCK; a block counts common shingles by an
+    held against all members, BLOCK of both at a time; a block counts common shingles by an
     inverted index and returns, for each query, one link to each component it meets."""
-    stats = families.groupBy("hub").agg(F.count("*").alias("n"), F.max(F.when(F.col("node") == F.col("hub"), F.col("component"))).alias("main"))
-    f = families.join(stats, "hub").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
-    members = f.select("hub", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int").alias("block"), "node", "component", F.lit(False).alias("query"))
-    queries = f.where("component <> main").select("hub", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "node", "component", F.lit(True).alias("query"))
+    main = families.where("node = hub").select("hub", F.col("component").alias("main")).distinct()
+    f = cut(families.join(main, "hub"))
+    parts = lambda n: F.ceil(n / BLOCK).cast("int")
+    sizes = f.groupBy("hub").agg(parts(F.count("*")).alias("blocks"), parts(F.count_if(F.col("component") != F.col("main"))).alias("turns"))
+    f = f.join(cut(sizes.where("turns > 0")), "hub")
+    own = lambda n, seed: F.pmod(F.xxhash64("node", F.lit(seed)), n).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), n - 1))
+    members = f.select("hub", own(F.col("blocks"), 1).alias("block"), every(F.col("turns")).alias("turn"), "node", "component", F.lit(False).alias("query"))
+    queries = f.where("component <> main").select("hub", every(F.col("blocks")).alias("block"), own(F.col("turns"), 2).alias("turn"), "node", "component", F.lit(True).alias("query"))
 
     def compare(group):
         node, comp = group.column("node").to_numpy(), group.column("component").to_numpy()
@@ -183,7 +188,7 @@ def _compare_rest(families: DataFrame, sets: DataFrame, percent: int) -> DataFra
             out += [(int(node[q]), int(node[i])) for i in hit[first]]
         return pa.table({"a": pa.array([min(p) for p in out], pa.int64()), "b": pa.array([max(p) for p in out], pa.int64())})
 
-    return members.unionByName(queries).join(sets, "node").groupBy("hub", "block").applyInArrow(compare, "a long, b long").distinct()
+    return members.unionByName(queries).join(sets, "node").groupBy("hub", "block", "turn").applyInArrow(compare, "a long, b long").distinct()
 
 
 def near_classes(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
