@@ -22,7 +22,7 @@ def main() -> None:
     from pyspark.sql import functions as F
 
     from motifmill.apps import cliques, frequent, motifs, triangles
-    from motifmill.baselines import others
+    from motifmill.baselines import formula_motifs, frequent_others, others
     from motifmill.sources import graphs
 
     spark = (
@@ -43,11 +43,11 @@ def main() -> None:
         "tc_copart_r": lambda: triangles.count(g), "tc_copart_full": lambda: triangles.count(full), "tc_nextline": lambda: triangles.count(line), "tc_doc_line": lambda: triangles.count(docs),
         "cf3_copart_r": lambda: cliques.count(g, 3), "cf4_copart_r": lambda: cliques.count(g, 4), "cf5_copart_r": lambda: cliques.count(g, 5),
         "cf4_copart_full": lambda: cliques.count(full, 4), "cf5_doc_line": lambda: cliques.count(docs, 5),
-        "mc3_copart_r": lambda: motifs.count(g, 3, method="auto"), "mc3_copart_full": lambda: motifs.count(full, 3, method="auto"), "mc3_nextline": lambda: motifs.count(line, 3, method="auto"),
-        "mc4_copart_r": lambda: motifs.count(g, 4, method="auto"), "mc3_enumerated_copart_r": lambda: motifs.count(g, 3), "mc4_enumerated_copart_r": lambda: motifs.count(g, 4),
+        "mc3_copart_r": lambda: motifs.count(g, 3), "mc3_copart_full": lambda: motifs.count(full, 3), "mc3_nextline": lambda: motifs.count(line, 3), "mc4_copart_r": lambda: motifs.count(g, 4),
+        "h4_formula_mc3_copart_full": lambda: formula_motifs.count(full, 3), "h4_formula_mc4_copart_r": lambda: formula_motifs.count(g, 4),
         **{f"fsm3_type_s{s}": (lambda s=s: frequent.mine(g, 2, s)) for s in sigma}, "fsm4_type_s2000": lambda: frequent.mine(g, 3, 2000),
         "b4_dfs_cf4_copart_r": lambda: others.dfs_cliques(g, 4), "h3_local_cf4_copart_r": lambda: others.local_graph_cliques(g, 4), "h2_coloured_tc_copart_r": lambda: others.coloured_triangles(g),
-        "b6_compiled_tc_copart_r": lambda: others.compiled_count(g, "triangle"),
+        "h1_hand_tc_copart_r": lambda: others.hand_triangles(g), "b2_relational_fsm3_type_s2000": lambda: frequent_others.relational_frequent(g, 2, 2000), "b6_compiled_tc_copart_r": lambda: others.compiled_count(g, "triangle"),
     }
     only = set(sys.argv[1:])
     seconds = {}

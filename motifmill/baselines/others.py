@@ -257,27 +257,30 @@ def _inside(pair, triple) -> bool:
 
 def local_graph_cliques(graph: PropertyGraph, k: int) -> DataFrame:
     """A vertex's out-neighbours and the edges among them form a local graph, which shrinks
-    along the recursion."""
+    along the recursion.  Local edges are cut out of the out-lists inside generated code;
+    only neighbours that can still be in a clique, with their local lists, go to Python."""
+    ship(graph.edges.sparkSession)
     o = graph.orient("degree")
-    wedge = o.select("src", F.col("dst").alias("x")).join(o.select("src", F.col("dst").alias("y")), "src")
-    ego = wedge.join(o.select(F.col("src").alias("x"), F.col("dst").alias("y")), ["x", "y"], "left_semi")
-
-    def local(key, frame):
-        out: dict[int, set[int]] = {}
-        for x, y in zip(frame["x"].tolist(), frame["y"].tolist()):
-            out.setdefault(x, set()).add(y)
-
-        def grow(cand, left):
-            if left == 0:
-                return 1
-            if left == 1:
+    near = cut(graph.adjacency(o))
+    left = near.where(F.size("nbrs") >= k - 1).select(F.col("id").alias("src"), F.col("nbrs").alias("own"))
+    right = near.where(F.size("nbrs") >= k - 2).select(F.col("id").alias("x"), F.col("nbrs").alias("other"))
+    ego = o.select("src", F.col("dst").alias("x")).join(left, "src").join(right, "x").select("src", "x", F.array_intersect("own", "other").alias("common"))
+    local = ego.where(F.size("common") >= k - 2).groupBy("src").agg(F.collect_list(F.struct("x", "common")).alias("g")).select("g")
+
+    def recurse(batches):
+        def grow(cand, out, size):
+            if size == 1:
                 return len(cand)
-            return sum(grow(cand & out.get(v, set()), left - 1) for v in cand)
+            return sum(grow(cand & near, out, size - 1) for near in map(out.get, cand) if near)
 
-        every = set(out) | {y for s in out.values() for y in s}
-        return pd.DataFrame({"n": [grow(every, k - 1)]})
+        for batch in batches:
+            total = 0
+            for g in batch.column(0).to_pylist():
+                out = {e["x"]: set(e["common"]) for e in g}
+                total += sum(grow(c, out, k - 2) for c in out.values())
+            yield pa.RecordBatch.from_arrays([pa.array([total], pa.int64())], ["n"])
 
-    return ego.groupBy("src").applyInPandas(local, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("cliques"))
+    return local.mapInArrow(recurse, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("cliques"))
 
 
 # -- compiled counter ------------------------------------------------------

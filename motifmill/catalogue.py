@@ -6,6 +6,8 @@ cliques, closed formulas for motifs, one statement a shape for frequent subgraph
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import functions as F
 
 from . import measures
@@ -97,6 +99,35 @@ def fsm_sql(graph: str, column: str, max_edges: int, sigma: int, measure: str =
     )
 
 
+def fsm_four_edges_sql(graph: str, column: str, sigma: int) -> str:
+    """Labels, vertices and support of every frequent pattern of exactly 4 edges, shape by shape."""
+    turns = [[(s + d * i) % 4 for i in range(4)] for s in range(4) for d in (1, -1)]
+    cycle = "[x.ls, y.ls, z.ls, w.ls]"
+    label = ["x.ls", "y.ls", "z.ls", "w.ls"]
+    shapes = [
+        ("r x JOIN r y ON y.src = x.src JOIN r z ON z.src = x.src JOIN r w ON w.src = x.src", ["x.src", "x.dst", "y.dst", "z.dst", "w.dst"], ["x.ls", "x.ld", "y.ld", "z.ld", "w.ld"], "x.ld <= y.ld AND y.ld <= z.ld AND z.ld <= w.ld"),
+        ("r x JOIN r y ON y.src = x.dst JOIN r z ON z.src = y.dst JOIN r w ON w.src = z.dst", ["x.src", "x.dst", "y.dst", "z.dst", "w.dst"], ["x.ls", "x.ld", "y.ld", "z.ld", "w.ld"], "(x.ls < w.ld OR (x.ls = w.ld AND x.ld <= z.ld))"),
+        ("r x JOIN r y ON y.src = x.src JOIN r z ON z.src = x.src JOIN r w ON w.src = z.dst", ["x.src", "x.dst", "y.dst", "z.dst", "w.dst"], ["x.ls", "x.ld", "y.ld", "z.ld", "w.ld"], "x.ld <= y.ld"),
+        ("r x JOIN r y ON y.src = x.dst JOIN r z ON z.src = y.dst JOIN r w ON w.src = z.dst AND w.dst = x.src", ["x.src", "y.src", "z.src", "w.src"], label, "list_sort([" + ", ".join("[" + ", ".join(label[i] for i in t) + "]" for t in turns) + f"])[1] = {cycle}"),
+        ("r x JOIN r y ON y.src = x.src JOIN r z ON z.src = x.dst AND z.dst = y.dst JOIN r w ON w.src = x.src", ["x.src", "x.dst", "y.dst", "w.dst"], ["x.ls", "x.ld", "y.ld", "w.ld"], "x.ld <= y.ld"),
+    ]
+    parts = []
+    for source, vs, ls, cond in shapes:
+        apart = " AND ".join(f"{a} <> {b}" for i, a in enumerate(vs) for b in vs[:i])
+        parts.append(f"SELECT 4::INT AS n_edges, {len(vs)}::INT AS n_vertices, array_to_string(list_sort([{', '.join(ls)}]), '-') AS labels, least({', '.join(f'count(DISTINCT {v})' for v in vs)})::BIGINT AS support FROM {source} WHERE {apart} AND {cond} GROUP BY {', '.join(ls)}")
+    return (
+        f"WITH e AS ({graphs.SQL[graph]}), l AS (SELECT p_partkey AS id, dense_rank() OVER (ORDER BY {column}) AS label FROM part), "
+        "r AS (SELECT src, dst, a.label AS ls, b.label AS ld FROM (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e) JOIN l a ON a.id = src JOIN l b ON b.id = dst) "
+        f"SELECT * FROM ({' UNION ALL '.join(parts)}) WHERE support >= {sigma}"
+    )
+
+
+def four_edges(g: PropertyGraph, sigma: int, plan: str = "engine"):
+    found = frequent.mine(g, 4, sigma, plan=plan).where("n_edges = 4")
+    labels = F.split("pattern", r"\|")[0]
+    return found.select("n_edges", F.size(F.split(labels, "-")).alias("n_vertices"), labels.alias("labels"), "support")
+
+
 # -- methods and workloads ---------------------------------------------------
 
 for g in ("copart_r", "knn8", "doc_line", "copart_full", "nextline", "page_href2", "comin", "supp_coorder", "tree", "custpart_top"):
@@ -163,6 +194,12 @@ for label, sigmas in (("type", (100, 200, 250)), ("brand", (10, 20))):
         add(f"fsm4_{label}_s{s}", on("copart_r", lambda g, s=s: frequent.mine(g, 3, s), f"p_{label}"), fsm_sql("copart_r", f"p_{label}", 3, s))
 for edges, s in ((2, 200), (3, 250)):
     add(f"fsm{edges + 1}_engine_s{s}", on("copart_r", lambda g, n=edges, s=s: frequent.mine(g, n, s, plan="engine"), "p_type"), fsm_sql("copart_r", "p_type", edges, s))
+for s in (20, 25, 30):
+    add(f"fsm5_type_s{s}", on("copart_2", lambda g, s=s: four_edges(g, s), "p_type"), fsm_four_edges_sql("copart_2", "p_type", s))
+add("fsm5_generic_s30", on("copart_2", lambda g: four_edges(g, 30, "generic"), "p_type"), fsm_four_edges_sql("copart_2", "p_type", 30))
+add("b1_fsm5_type_s30", on("copart_2", lambda g: frequent_others.filter_process_frequent(g, 4, 30).where("n_edges = 4").select("n_edges", F.size(F.split(F.split("pattern", r"\|")[0], "-")).alias("n_vertices"), F.split("pattern", r"\|")[0].alias("labels"), "support"), "p_type"),
+    fsm_four_edges_sql("copart_2", "p_type", 30))
+add("fsm3_early_s200", on("copart_r", lambda g: frequent.mine(g, 2, 200, mode="early"), "p_type"), f"SELECT n_edges, pattern, 200::BIGINT AS support FROM ({fsm_sql('copart_r', 'p_type', 2, 200)})")
 for mode in ("set", "bitmap", "udaf"):
     add(f"fsm3_support_{mode}", on("copart_r", lambda g, m=mode: frequent.mine(g, 2, 200, mode=m), "p_type"), fsm_sql("copart_r", "p_type", 2, 200))
 add("fsm3_support_approx", on("copart_r", lambda g: frequent.mine(g, 2, 200, kind="mni_approx"), "p_type"))
@@ -250,7 +287,22 @@ add("op_adjacency_chunks", on("copart_r", lambda g: g.adjacency(chunk=8).select(
 add("op_labels", lambda spark, sf_dir: graphs.part_labels(spark, sf_dir), "SELECT p_partkey AS id, dense_rank() OVER (ORDER BY p_type)::INT AS label FROM part")
 add("op_filter_label", on("copart_r", lambda g: g.induced_by_label([1, 2]).edges, "p_type"),
     f"WITH e AS ({graphs.SQL['copart_r']}), l AS (SELECT p_partkey AS id, dense_rank() OVER (ORDER BY p_type) AS label FROM part) SELECT src, dst FROM e JOIN l a ON a.id = src JOIN l b ON b.id = dst WHERE a.label <= 2 AND b.label <= 2")
-add("op_core3", on("comin", lambda g: g.k_core(3)))
+CORE_ROUNDS = 40
+
+
+def core_sql(graph: str, k: int) -> str:
+    """The k-core by rounds written out one after another; an error if they do not suffice."""
+    text = f"WITH e0 AS ({graphs.SQL[graph]})"
+    for i in range(CORE_ROUNDS):
+        text += (
+            f", d{i} AS MATERIALIZED (SELECT id FROM (SELECT src AS id FROM e{i} UNION ALL SELECT dst FROM e{i}) GROUP BY id HAVING count(*) >= {k})"
+            f", e{i + 1} AS MATERIALIZED (SELECT src, dst FROM e{i} WHERE src IN (SELECT id FROM d{i}) AND dst IN (SELECT id FROM d{i}))"
+        )
+    same = f"(SELECT count(*) FROM e{CORE_ROUNDS - 1}) = (SELECT count(*) FROM e{CORE_ROUNDS})"
+    return text + f" SELECT CASE WHEN {same} THEN src ELSE error('not reached') END AS src, dst FROM e{CORE_ROUNDS}"
+
+
+add("op_core3", on("copart_r", lambda g: g.k_core(3)), core_sql("copart_r", 3))
 add("op_wedges_by_vertex", on("copart_r", lambda g: g.wedges_by_vertex()), _D + "SELECT id, (degree * (degree - 1) // 2)::BIGINT AS wedges FROM d")
 add("op_common_neighbours", on("copart_r", lambda g: connect.common_neighbours(g.edges, g)), _D + "SELECT e.src, e.dst, (SELECT count(*) FROM r x JOIN r y ON x.dst = y.dst WHERE x.src = e.src AND y.src = e.dst)::BIGINT AS n_common FROM e")
 _T = _D.rstrip() + ", t AS (SELECT x.src AS a, x.dst AS b, y.dst AS c FROM e x JOIN e y ON y.src = x.src AND y.dst > x.dst JOIN e z ON z.src = x.dst AND z.dst = y.dst), tv AS (SELECT v AS id, count(*) AS triangles FROM (SELECT a AS v FROM t UNION ALL SELECT b FROM t UNION ALL SELECT c FROM t) GROUP BY v) "
@@ -347,16 +399,29 @@ def relational_pairs(spark, sf_dir):
 
 
 def measure_speedup(spark, sf_dir):
-    """Geometric mean of published seconds of one framework over the published engine."""
-    ours = {"tc": 0.02, "cf3": 0.04, "cf4": 1.6, "cf5": 60.5, "mc3": 0.2, "mc4": 175.6}
-    theirs = {"tc": 30.8, "cf3": 32.2, "cf4": 41.7, "cf5": 311.9, "mc3": 36.1, "mc4": 353.0}
-    return spark.createDataFrame([(round(measures.geo_speedup(ours, theirs), 6),)], "speedup double")
+    """Seconds of the engine and of baselines on the same work, and baseline seconds over engine seconds; last the geometric mean."""
+    pairs = [
+        ("tc", "tc_copart_r", "b5_tc"), ("tc", "tc_copart_r", "h2_tc"), ("cf4", "cf4_copart_r", "b2_cf4"), ("cf4", "cf4_copart_r", "h3_cf4"), ("cf4", "cf4_copart_r", "b4_cf4"),
+        ("mc3", "mc3_copart_r", "b2_mc3"), ("mc3", "mc3_copart_r", "b4_mc3"), ("fsm3", "fsm3_type_s200", "b2_fsm3_type_s200"), ("fsm3", "fsm3_type_s200", "b1_fsm3_type_s200"),
+    ]
+    took = {n: measures.time_app(lambda n=n: QUERIES[n](spark, sf_dir), 1).seconds for n in dict.fromkeys(x for _, a, b in pairs for x in (a, b))}
+    rows = [(work, b, round(took[a], 3), round(took[b], 3), round(took[b] / took[a], 3)) for work, a, b in pairs]
+    mean = measures.geo_speedup({b: took[a] for _, a, b in pairs}, {b: took[b] for _, _, b in pairs})
+    return spark.createDataFrame([*rows, ("all", "geometric mean", None, None, round(mean, 3))], "work string, baseline string, engine_sec double, baseline_sec double, speedup double")
+
+
+def measure_io(spark, sf_dir):
+    """Bytes scanned, shuffled and spilled by an application: what stands in for the counters of a memory hierarchy."""
+    rows = []
+    for name in ("tc_copart_r", "cf4_copart_r", "mc3_copart_r", "mc4_copart_r", "fsm3_type_s200"):
+        rows.append((name, *(int(x) for x in measures.io_of(spark, lambda n=name: QUERIES[n](spark, sf_dir)).values())))
+    return spark.createDataFrame(rows, "query string, read_bytes long, shuffle_write_bytes long, shuffle_read_bytes long, memory_spill_bytes long, disk_spill_bytes long")
 
 
 def measure_complexity(spark, sf_dir):
     """Worst-case work of growing the co-return graph to 3, 4 and 5 vertices."""
     row = graphs.load(spark, sf_dir, "copart_r").stats().first()
-    return spark.createDataFrame([(k, planning.upper_bound(row["n_vertices"], k, row["max_degree"])) for k in (3, 4, 5)], "k int, work double")
+    return spark.createDataFrame([(k, round(math.log10(planning.upper_bound(row["n_vertices"], k, row["max_degree"])), 6)) for k in (3, 4, 5)], "k int, log10_work double")
 
 
 def measure_effort(spark, sf_dir):
@@ -379,8 +444,9 @@ def measure_sketch_error(spark, sf_dir):
     return both.agg(F.max(F.abs(F.col("guess") - F.col("support")) / F.col("support")).alias("error"))
 
 
-add("measure_speedup", measure_speedup, "SELECT round(exp((ln(30.8 / 0.02) + ln(32.2 / 0.04) + ln(41.7 / 1.6) + ln(311.9 / 60.5) + ln(36.1 / 0.2) + ln(353.0 / 175.6)) / 6), 6) AS speedup")
-add("measure_complexity", measure_complexity)
+add("measure_speedup", measure_speedup)
+add("measure_io", measure_io)
+add("measure_complexity", measure_complexity, _D + "SELECT k::INT AS k, round(log10(n ** (k - 1) * k * k * m * greatest(1.0, log2(greatest(m, 2))) * exp(sqrt(k * ln(k)))), 6) AS log10_work FROM (SELECT count(*)::DOUBLE AS n, max(degree)::DOUBLE AS m FROM d), (SELECT unnest([3, 4, 5]) AS k)")
 add("measure_effort", measure_effort)
 add("measure_level_rows", measure_level_rows, f"WITH c AS ({mc3_sql('comin')}), d AS ({mc4_sql('comin')}) SELECT 2::INT AS size, (SELECT count(*) FROM ({graphs.SQL['comin']})) AS n UNION ALL SELECT 3, (SELECT sum(n)::BIGINT FROM c) UNION ALL SELECT 4, (SELECT sum(n)::BIGINT FROM d)")
 add("measure_sketch_error", measure_sketch_error)

@@ -7,6 +7,7 @@ import inspect
 import math
 import textwrap
 import time
+import uuid
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -92,6 +93,33 @@ def _children(pid: int) -> list[int]:
     return own + [y for x in own for y in _children(x)]
 
 
+IO = {"read_bytes": "inputBytes", "shuffle_write_bytes": "shuffleWriteBytes", "shuffle_read_bytes": "shuffleReadBytes", "memory_spill_bytes": "memoryBytesSpilled", "disk_spill_bytes": "diskBytesSpilled"}
+
+
+def io_of(spark: SparkSession, fn: Callable[[], DataFrame]) -> dict[str, int]:
+    """Bytes that all stages of materialising fn() read, shuffled and spilled, from Spark's own stage records."""
+    sc = spark.sparkContext
+    group = f"io-{uuid.uuid4().hex}"
+    sc.setJobGroup(group, "io")
+    try:
+        fn().write.format("noop").mode("overwrite").save()
+    finally:
+        sc.setLocalProperty("spark.jobGroup.id", None)
+    jsc = sc._jsc.sc()
+    jsc.listenerBus().waitUntilEmpty()
+    tracker, store = sc.statusTracker(), jsc.statusStore()
+    stages = {s for job in tracker.getJobIdsForGroup(group) for s in tracker.getJobInfo(job).stageIds}
+    out = dict.fromkeys(IO, 0)
+    for s in stages:
+        try:
+            last = store.lastStageAttempt(s)
+        except Exception:  # a stage that was skipped has no record
+            continue
+        for name, field in IO.items():
+            out[name] += int(getattr(last, field)())
+    return out
+
+
 def loc_of(*objects) -> int:
     """Lines of code of functions or modules, without comments, blank lines and docstrings."""
     n = 0

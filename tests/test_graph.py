@@ -8,10 +8,9 @@ from pyspark.sql import functions as F
 
 from motifmill import catalogue
 from motifmill.apps import cliques, frequent, motifs, triangles
-from motifmill.baselines import formula_motifs, others
+from motifmill.baselines import formula_motifs, frequent_others, others
 from motifmill.functions import patterns
 from motifmill.graph import PropertyGraph, dense_ids, normalise
-from motifmill.llm import base
 from motifmill.operators import blocking, connect, engine, levels, support
 from motifmill.operators.rules import AppSpec
 from motifmill.plans import planning
@@ -248,11 +247,13 @@ def test_layouts_and_stores(comin):
     wide = engine.grow_vertices(engine.seed(comin, app), 2, comin, app)
     rows = sorted(map(tuple, wide.select("v0", "v1", "v2", "mask").collect()))
     for layout in levels.LAYOUTS:
-        store = levels.Store(layout)
-        store.put(2, engine.seed(comin, app))
-        store.put(3, wide)
-        assert sorted(map(tuple, store.get(3).select("v0", "v1", "v2", "mask").collect())) == rows
-        assert store.get(2).count() == comin.edges.count()
+        level, store = engine.mine_stored(comin, app, 3, layout)
+        assert sorted(map(tuple, level.select("v0", "v1", "v2", "mask").collect())) == rows
+        assert store.get(2).count() == comin.edges.count() and store.bytes(3) > 0
+        if layout == "tree":  # dense ids, and each row names its parent
+            ids = [r.emb_id for r in store.levels[3].select("emb_id").collect()]
+            assert sorted(ids) == list(range(len(rows)))
+            assert {r.parent_id for r in store.levels[3].collect()} <= set(range(comin.edges.count()))
     pair = others.overapproximation(comin).first()
     assert pair["expanded"] >= pair["stored"] == len(rows)
 
@@ -301,10 +302,107 @@ def test_unfinished_rounds_are_errors(spark):
     assert chain.k_core(2).count() == 0
     with pytest.raises(RuntimeError):
         chain.k_core(2, most_rounds=2)
-    with pytest.raises(RuntimeError):
-        base.components(chain.edges.toDF("a", "b"), most_rounds=1)
 
 
 def test_rmat_is_deterministic(spark):
     a, b = (sorted(map(tuple, graphs.rmat(spark, 7).collect())) for _ in range(2))
     assert a == b and all(x < y < 128 for x, y in a)
+
+
+def brute_frequent(pairs, labels, edges, sigma):
+    """Code -> support of all connected sets of that many edges."""
+    domains = {}
+    for own in itertools.combinations(pairs, edges):
+        vids = sorted({v for e in own for v in e})
+        mask = sum(1 << patterns.offset(vids.index(b)) + vids.index(a) for a, b in own)
+        if patterns.connected(mask, len(vids)):
+            code, orbit = patterns.canonical_labelled(mask, [labels[v] for v in vids])
+            for o, v in zip(orbit, vids):
+                domains.setdefault(code, {}).setdefault(o, set()).add(v)
+    found = {c: min(map(len, d.values())) for c, d in domains.items()}
+    return {c: n for c, n in found.items() if n >= sigma}
+
+
+@pytest.fixture(scope="module")
+def labelled(spark):
+    import random
+
+    rng = random.Random(4)
+    pairs = sorted({tuple(sorted(rng.sample(range(12), 2))) for _ in range(22)})
+    labels = {v: rng.randrange(2) for v in range(12)}
+    return graph_of(spark, pairs, list(labels.items())), pairs, labels
+
+
+@pytest.mark.parametrize("edges", [4, 5])
+def test_larger_patterns_equal_brute_force(labelled, edges):
+    g, pairs, labels = labelled
+    expected = brute_frequent(pairs, labels, edges, 3)
+    got = {r.pattern: r.support for r in frequent.mine(g, edges, 3).collect() if r.n_edges == edges}
+    assert got == expected and expected
+
+
+def test_frequent_baselines_agree(labelled):
+    g, pairs, labels = labelled
+    expected = {(r.n_edges, r.pattern, r.support) for r in frequent.mine(g, 3, 3).collect()}
+    codes = {(n, c): s for n in (1, 2, 3) for c, s in brute_frequent(pairs, labels, n, 3).items()}
+    assert sorted(s for _, _, s in expected) == sorted(codes.values())
+    generic = {(r.n_edges, r.pattern): r.support for r in frequent.mine(g, 3, 3, plan="generic").collect()}
+    assert generic == codes
+    for fn in (frequent_others.filter_process_frequent, frequent_others.relational_frequent, frequent_others.dfs_frequent):
+        assert {tuple(r) for r in fn(g, 3, 3).collect()} == expected, fn.__name__
+    early = {(r.n_edges, r.pattern, r.support) for r in frequent.mine(g, 3, 3, mode="early").collect()}
+    assert early == {(n, p, 3) for n, p, _ in expected}
+    counted_ = {(r.n_edges, r.pattern): r.support for r in frequent.mine(g, 3, 1, kind="frequency").collect()}
+    assert {(r.n_edges, r.pattern): r.support for r in frequent_others.compiled_frequency(g, 3, 1).collect()} == counted_
+
+
+def test_canonical_search_names_patterns_alike():
+    import random
+
+    rng = random.Random(1)
+    for _ in range(100):
+        k = rng.randint(2, 5)
+        bits = patterns.pairs(k)
+        mask = rng.randrange(1, 1 << len(bits))
+        labels = [rng.randrange(2) for _ in range(k)]
+        code, orbit = patterns.canonical_labelled(mask, labels)
+        perm = rng.sample(range(k), k)
+        moved = sum(1 << patterns.offset(max(perm[i], perm[j])) + min(perm[i], perm[j]) for b, (i, j) in enumerate(bits) if mask >> b & 1)
+        other, orbit2 = patterns.canonical_labelled(moved, [labels[perm.index(v)] for v in range(k)])
+        assert code == other and [orbit[perm.index(v)] for v in range(k)] == orbit2
+        assert patterns.canonical_labelled(*patterns.of_code(code))[0] == code
+
+
+def test_hand_written_triangles_and_shared_joins(spark, copart):
+    n = triangles.count(copart).first()["triangles"]
+    assert others.hand_triangles(copart).first()["triangles"] == n
+    assert others.hand_triangles(copart, chunk=100).first()["triangles"] == n
+    assert others.hand_triangles(graph_of(spark, PETERSEN)).first()["triangles"] == 0
+    assert others.colours_for(10**9, 50_000) > others.colours_for(10**6, 50_000) > others.colours_for(1_000, 50_000) == 3
+    assert {r.pattern: r.n for r in others.compiled_motifs(copart, tuple(COPART_R)).collect()} == COPART_R
+
+
+def test_rows_are_numbered_densely(spark):
+    df = planning.number_rows(spark.range(1_000).where("id % 3 = 0").repartition(7), "number")
+    assert sorted(r.number for r in df.collect()) == list(range(334))
+
+
+def test_io_is_measured(spark, copart):
+    from motifmill import measures
+
+    found = measures.io_of(spark, lambda: triangles.count(copart))
+    assert found["shuffle_write_bytes"] > 0 and found["disk_spill_bytes"] == 0
+
+
+def test_checkpoints_need_a_shared_folder_on_a_cluster():
+    from types import SimpleNamespace
+
+    from motifmill import session
+
+    class Empty:
+        isEmpty = staticmethod(lambda: True)
+
+    conf = SimpleNamespace(get=lambda *a: None)
+    sc = SimpleNamespace(master="spark://somewhere:7077", _jsc=SimpleNamespace(sc=lambda: SimpleNamespace(getCheckpointDir=lambda: Empty)))
+    with pytest.raises(RuntimeError):
+        session.checkpoint_folder(SimpleNamespace(sparkContext=sc, conf=conf))
