@@ -623,7 +623,7 @@ def test_scores_equal_a_slow_version(spark, lm_docs):
 def test_scores_do_not_depend_on_what_is_broadcast_or_where_rows_lie(spark, lm_docs):
     docs = spark.createDataFrame(lm_docs, "doc_id long, text string")
     one = {r.doc_id: r.asDict() for r in lm_score.lm_scores(docs.coalesce(1)).collect()}
-    other = {r.doc_id: r.asDict() for r in lm_score.lm_scores(docs.withColumn("train", F.lit("clash")).withColumn("block", F.lit(1)).repartition(7), common=30).collect()}
+    other = {r.doc_id: r.asDict() for r in lm_score.lm_scores(docs.withColumn("train", F.lit("clash")).withColumn("block", F.lit(1)).repartition(7), common=30, common_words=10).collect()}
     assert one.keys() == other.keys()
     for i, row in one.items():
         assert other[i] == pytest.approx(row, rel=1e-4)
@@ -643,6 +643,14 @@ def test_the_mixer_is_what_scores(spark, lm_docs, monkeypatch):
     assert max(float(np.abs(m - 1 / len(lm_score.KINDS)).max()) for m in speller.mixing) > 0.1
 
 
+def test_distinct_values_and_their_places():
+    rng = np.random.default_rng(5)
+    for values in (np.zeros(0, np.int64), np.arange(10), rng.integers(-5, 5, 5_000), rng.integers(0, 2**62, 30_000), np.repeat(rng.integers(0, 2**40, 9_000), 7)):
+        values = values.astype(np.int64)
+        own, place = lm_score._ids(values)
+        assert sorted(own.tolist()) == sorted(set(values.tolist())) and (own[place] == values).all()
+
+
 def test_codes_of_bytes_are_complete():
     paths = lm_score.huffman(np.arange(1, 257).astype(float))
     assert sum(2.0 ** -len(p) for p in paths) == pytest.approx(1.0)
