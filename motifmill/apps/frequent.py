@@ -203,18 +203,25 @@ def _mine_shapes(graph: PropertyGraph, max_edges: int, sigma: int, support_of) -
             corner = corner.join(lab.select(c("id").alias(v), c("label").alias(f"l{v}")), v)
         tri_id = _pack(3, *_sorted3(c("lv0"), c("lv1"), c("lv2")))
         corners = _places(corner, tri_id, *[(_below(c(f"l{v}"), *[c(f"l{u}") for u in ("v0", "v1", "v2") if u != v]), c(v)) for v in ("v0", "v1", "v2")])
-        # a path is its middle edge p < q with an outer neighbour on either side; both wedges must be frequent
+        # a path is its middle edge p < q with an outer neighbour on either side; both wedges must be frequent.
+        # Paths are not listed: each side is folded to its labels, with a count and one neighbour, so that what a
+        # hub's edge costs grows with its neighbours and labels, not with pairs of neighbours.
         hop = first.join(arcs.select(c("src").alias("c"), c("dst").alias("o"), c("ld").alias("lo")), "c").where("a <> o")
         hop = _kept(hop, _pack(2, c("lc"), F.least("la", "lo"), F.greatest("la", "lo")), keep2)
         left = hop.where("c < a").select(c("c").alias("p"), c("a").alias("q"), c("lc").alias("lp"), c("la").alias("lq"), c("o").alias("x"), c("lo").alias("lx"))
         right = hop.where("c > a").select(c("a").alias("p"), c("c").alias("q"), c("o").alias("y"), c("lo").alias("ly"))
-        path = left.join(right, ["p", "q"]).where("x <> y")
+        left, right = cut(left), cut(right)
+        lefts = left.groupBy("p", "q", "lp", "lq", "lx").agg(F.count("*").alias("nx"), F.min("x").alias("one_x"))
+        rights = right.groupBy("p", "q", "ly").agg(F.count("*").alias("ny"), F.min("y").alias("one_y"))
+        middle = lefts.join(rights, ["p", "q"]).where("nx > 1 or ny > 1 or one_x <> one_y")
+        outer_x = left.join(rights, ["p", "q"]).where("ny > 1 or one_y <> x")
+        outer_y = right.drop("lp", "lq").join(lefts, ["p", "q"]).where("nx > 1 or one_x <> y")
         ahead = (c("lx") < c("ly")) | ((c("lx") == c("ly")) & (c("lp") <= c("lq")))
         mirrored = (c("lx") == c("ly")) & (c("lp") == c("lq"))
         pick = lambda a, b: F.when(ahead, c(a)).otherwise(c(b))
         path_id = _pack(5, pick("lx", "ly"), pick("lp", "lq"), pick("lq", "lp"), pick("ly", "lx"))
         place = lambda i: F.when(mirrored, F.lit(min(i, 3 - i))).otherwise(F.when(ahead, F.lit(i)).otherwise(F.lit(3 - i)))
-        paths = _places(path, path_id, (place(0), c("x")), (place(1), c("p")), (place(2), c("q")), (place(3), c("y")))
+        paths = _places(middle, path_id, (place(1), c("p")), (place(2), c("q"))).unionByName(_places(outer_x, path_id, (place(0), c("x")))).unionByName(_places(outer_y, path_id, (place(3), c("y"))))
         found = support_of(stars.unionByName(corners).unionByName(paths))
         out = out.unionByName(found.where(c("support") >= sigma).withColumn("n_edges", F.lit(3)))
     return out.select("n_edges", _unpack(c("pattern")).alias("pattern"), "support")
