@@ -770,3 +770,36 @@ def test_chunks_move_with_content():
     assert a[-1] == len(text) and len(a) > 10
     assert len({x + 777 for x in a} & set(b)) > 0.8 * len(a)
     assert exact_dedup.cut_points(np.zeros(50_000, np.uint8), np.array([0, 50_000]))[0][-1] == 50_000
+
+
+# -- odd rows ------------------------------------------------------------
+
+
+def odd_rows(spark, more):
+    """Null ids and texts, repeated rows and extra columns with the names that an operator uses itself."""
+    rows = [(None, "some text here"), (None, None), (7, "you grumpf, a@b.co"), (7, "you grumpf, a@b.co"), (8, ""), (9, " \n")]
+    names = ", ".join(f"{n} string" for n in more)
+    return spark.createDataFrame([(*r, *["x"] * len(more)) for r in rows], f"doc_id long, text string, {names}")
+
+
+@pytest.mark.parametrize("name", ["pii", "toxicity", "near", "leaks", "counts", "lm", "bpe", "repeats", "exact"])
+def test_operators_take_odd_rows(spark, name):
+    docs = odd_rows(spark, ["n_tokens", "score", "kept", "block", "key", "value", "marks", "fold", "toxic", "train", "n", "c", "spans"])
+    bench = spark.createDataFrame([(1, "some text here", "x")], "item_id long, text string, doc_id string")
+    run = {
+        "pii": lambda d: pii.find_pii(d),
+        "toxicity": lambda d: toxicity.score(d, *toxicity.learn(d, spark.createDataFrame([(7, 1, "x"), (7, 0, "x"), (8, 0, "x"), (None, 1, "x"), (9, None, "x")], "doc_id long, toxic int, text string"))),
+        "near": lambda d: near_dedup.near_classes(d),
+        "leaks": lambda d: decontaminate.leaks(d, bench),
+        "counts": lambda d: token_counts.count_tokens(d, token_counts.default_vocabulary()),
+        "lm": lambda d: lm_score.lm_scores(d),
+        "bpe": lambda d: bpe.token_digests(d, *bpe.default_vocabulary()),
+        "repeats": lambda d: substring_dedup.remove_repeats(d),
+        "exact": lambda d: exact_dedup.exact_groups(d),
+    }[name]
+    got = run(docs).collect()
+    ids = sorted(r.doc_id or 0 for r in got)
+    assert ids == ([0] if name == "leaks" else [0, 0, 7, 7, 8, 9])
+    by = [tuple(r) for r in got if r.doc_id == 7]
+    assert len(set(by)) == min(1, len(by))  # equal rows get equal results
+    assert run(docs.limit(0)).count() == 0
