@@ -258,14 +258,14 @@ def _inside(pair, triple) -> bool:
 def local_graph_cliques(graph: PropertyGraph, k: int) -> DataFrame:
     """A vertex's out-neighbours and the edges among them form a local graph, which shrinks
     along the recursion.  Local edges are cut out of the out-lists inside generated code;
-    only neighbours that can still be in a clique, with their local lists, go to Python."""
+    only neighbours that have local edges, with their local lists, go to Python."""
     ship(graph.edges.sparkSession)
     o = graph.orient("degree")
     near = cut(graph.adjacency(o))
     left = near.where(F.size("nbrs") >= k - 1).select(F.col("id").alias("src"), F.col("nbrs").alias("own"))
-    right = near.where(F.size("nbrs") >= k - 2).select(F.col("id").alias("x"), F.col("nbrs").alias("other"))
+    right = near.select(F.col("id").alias("x"), F.col("nbrs").alias("other"))
     ego = o.select("src", F.col("dst").alias("x")).join(left, "src").join(right, "x").select("src", "x", F.array_intersect("own", "other").alias("common"))
-    local = ego.where(F.size("common") >= k - 2).groupBy("src").agg(F.collect_list(F.struct("x", "common")).alias("g")).select("g")
+    local = ego.where(F.size("common") > 0).groupBy("src").agg(F.collect_list(F.struct("x", "common")).alias("g")).select("g")
 
     def recurse(batches):
         def grow(cand, out, size):
@@ -277,7 +277,7 @@ def local_graph_cliques(graph: PropertyGraph, k: int) -> DataFrame:
             total = 0
             for g in batch.column(0).to_pylist():
                 out = {e["x"]: set(e["common"]) for e in g}
-                total += sum(grow(c, out, k - 2) for c in out.values())
+                total += sum(grow(c, out, k - 2) for c in out.values() if len(c) >= k - 2)
             yield pa.RecordBatch.from_arrays([pa.array([total], pa.int64())], ["n"])
 
     return local.mapInArrow(recurse, "n long").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("cliques"))
