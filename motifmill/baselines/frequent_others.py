@@ -111,7 +111,7 @@ def dfs_frequent(graph: PropertyGraph, max_edges: int, sigma: int) -> DataFrame:
     ship(spark)
     held = connect.broadcast_csr(graph)
     labels = graph.vertex_labels()
-    if not connect.fits_broadcast(labels):
+    if labels.count() * 64 > connect.BROADCAST_BYTES:
         raise ValueError("the vertex labels exceed the broadcast bound")
     lab = spark.sparkContext.broadcast(dict(map(tuple, labels.collect())))
 
