@@ -406,3 +406,28 @@ def test_checkpoints_need_a_shared_folder_on_a_cluster():
     sc = SimpleNamespace(master="spark://somewhere:7077", _jsc=SimpleNamespace(sc=lambda: SimpleNamespace(getCheckpointDir=lambda: Empty)))
     with pytest.raises(RuntimeError):
         session.checkpoint_folder(SimpleNamespace(sparkContext=sc, conf=conf))
+
+
+def test_broadcast_adjacency_takes_no_rows_to_the_driver(spark, copart, monkeypatch):
+    from pyspark.sql import DataFrame
+
+    def refused(*_):
+        raise AssertionError("rows of the graph are collected on the driver")
+
+    near = {r["id"]: r["nbrs"] for r in copart.adjacency().collect()}
+    monkeypatch.setattr(DataFrame, "toPandas", refused)
+    monkeypatch.setattr(DataFrame, "collect", refused)
+    held = connect.broadcast_csr(copart)
+    ids, first, nbrs = held.value
+    assert nbrs.dtype == "int32" and {int(v): [int(ids[x]) for x in nbrs[first[i] : first[i + 1]]] for i, v in enumerate(ids)} == near
+    with pytest.raises(ValueError, match="broadcast bound"):
+        connect.broadcast_csr(copart, most=1000)
+    labelled = graphs.load(spark, SF, "copart_r", "p_type")
+    frequent_others.dfs_frequent(labelled, 2, 5)
+
+
+def test_hand_triangles_on_more_vertices_than_32_bits_pair(spark):
+    a = F.col("id") * 3
+    ends = F.explode(F.array(F.struct(a.alias("src"), (a + 1).alias("dst")), F.struct((a + 1).alias("src"), (a + 2).alias("dst")), F.struct(a.alias("src"), (a + 2).alias("dst")))).alias("e")
+    apart = PropertyGraph(spark.range(20_000).select(ends).select("e.src", "e.dst"))
+    assert others.hand_triangles(apart).first()["triangles"] == 20_000
