@@ -431,3 +431,15 @@ def test_hand_triangles_on_more_vertices_than_32_bits_pair(spark):
     ends = F.explode(F.array(F.struct(a.alias("src"), (a + 1).alias("dst")), F.struct((a + 1).alias("src"), (a + 2).alias("dst")), F.struct(a.alias("src"), (a + 2).alias("dst")))).alias("e")
     apart = PropertyGraph(spark.range(20_000).select(ends).select("e.src", "e.dst"))
     assert others.hand_triangles(apart).first()["triangles"] == 20_000
+
+
+def test_nearest_vectors_are_found_in_tiles(spark, tmp_path):
+    rows = [(i, [float((i * j) % 7 == 0) for j in range(64)]) for i in range(300)]  # many equal vectors
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    whole = sorted(map(tuple, graphs.knn8(spark, str(tmp_path)).collect()))
+    q = {i: [int(x * 1000) for x in v] for i, v in rows}
+    dot = lambda x, y: sum(a * b for a, b in zip(x, y))
+    score = lambda a, b: dot(q[a], q[b]) / math.sqrt(dot(q[b], q[b]))
+    near = {(min(a, b), max(a, b)) for a in q for b in sorted(set(q) - {a}, key=lambda b: (-score(a, b), b))[:8]}
+    assert whole == sorted(near)
+    assert sorted(map(tuple, graphs.knn8(spark, str(tmp_path), block_bytes=100 * 512, tile_bytes=8 * 700).collect())) == whole
