@@ -443,3 +443,9 @@ def test_nearest_vectors_are_found_in_tiles(spark, tmp_path):
     near = {(min(a, b), max(a, b)) for a in q for b in sorted(set(q) - {a}, key=lambda b: (-score(a, b), b))[:8]}
     assert whole == sorted(near)
     assert sorted(map(tuple, graphs.knn8(spark, str(tmp_path), block_bytes=100 * 512, tile_bytes=8 * 700).collect())) == whole
+
+
+def test_carried_neighbours_are_above_the_first_vertex(copart):
+    level = motifs._carry_level(copart, 3)
+    low = F.exists(F.concat("n0", "n1", "n2"), lambda u: u <= F.col("v0"))
+    assert level.where(low).isEmpty() and not level.isEmpty()
