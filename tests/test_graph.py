@@ -3,6 +3,7 @@
 import itertools
 import math
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -11,7 +12,7 @@ from motifmill.apps import cliques, frequent, motifs, triangles
 from motifmill.baselines import formula_motifs, frequent_others, others
 from motifmill.functions import patterns
 from motifmill.graph import PropertyGraph, dense_ids, normalise
-from motifmill.operators import blocking, connect, engine, levels, support
+from motifmill.operators import blocking, connect, engine, levels, shared, support
 from motifmill.operators.rules import AppSpec
 from motifmill.plans import planning
 from motifmill.sources import graphs
@@ -196,6 +197,27 @@ def test_ways_to_four_cliques(copart):
     assert listed.count() == sets.distinct().count() == 180
 
 
+@pytest.mark.parametrize("least, users", [(3, 20), (1, 400)])
+def test_triangles_of_shared_keys_make_no_edges(spark, least, users):
+    """Few users: bits; many users in small groups: lists.  Null keys and nodes join nothing, repeats count once."""
+    rng = np.random.default_rng(users)
+    rows = [(int(k), int(n) * 7) for k in range(40) for n in rng.choice(users, rng.integers(least, 6))] + [(None, 0), (None, 7), (3, None)]
+    rows = spark.createDataFrame(rows + rows[:9], "k long, n int")
+    expected = one(triangles.count(PropertyGraph(shared.pairs(rows.dropna().distinct()))))
+
+    def no_edges(edges):
+        raise AssertionError("edges of a dense graph became rows")
+
+    def by_edges(edges):
+        return triangles.count(PropertyGraph(edges))
+
+    assert expected > 0 and shared.triangles(rows, by_edges).first()["triangles"] == expected
+    for bounds in ({"tile_bytes": 1 << 20}, {"tile_bytes": 40}, {"apply": True}):
+        assert shared.triangles(rows, no_edges, least_pairs=1, **bounds).first()["triangles"] == expected
+    assert shared.triangles(rows.where("n < 0"), by_edges).first()["triangles"] == 0
+    assert shared.triangles(rows, by_edges, least_pairs=1, most=8).first()["triangles"] == expected
+
+
 def test_ways_to_triangles(copart):
     for fn in (others.task_triangles, others.coloured_triangles):
         assert one(fn(copart)) == 830
