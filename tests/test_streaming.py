@@ -7,6 +7,8 @@ import pyarrow.parquet as pq
 import pytest
 
 from motifmill import catalogue
+from motifmill.operators import shared
+from motifmill.streaming import events
 from .test_catalogue import SF, plain
 
 
@@ -33,3 +35,18 @@ def test_ten_unsorted_files_equal_the_statement(spark, shuffled, name):
     con.sql(f"CREATE VIEW events AS SELECT * FROM '{shuffled}/whole.parquet'")
     got, expected = catalogue.QUERIES[name](spark, shuffled).toPandas(), con.sql(catalogue.SQL[name]).df()
     assert len(expected) and plain(got) == plain(expected)
+
+
+@pytest.mark.parametrize("tile_bytes", [1 << 20, 64])
+def test_windows_are_counted_from_rows_not_from_edges(spark, shuffled, tile_bytes, monkeypatch):
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW events AS SELECT * FROM '{shuffled}/whole.parquet'")
+
+    def no_edges(rows):
+        raise AssertionError("edges of a dense window became rows")
+
+    kept = shared.window_triangles
+    monkeypatch.setattr(shared, "window_triangles", lambda rows, plain, **bounds: kept(rows, no_edges, **bounds))
+    found = events.window_triangles(events.source(spark, shuffled), "day", least_pairs=1, tile_bytes=tile_bytes).withColumnRenamed("w", "day").toPandas()
+    expected = con.sql(catalogue.SQL["st_window_tc"]).df()
+    assert len(expected) and plain(found) == plain(expected)
