@@ -482,3 +482,52 @@ def test_carried_neighbours_are_above_the_first_vertex(copart):
     level = motifs._carry_level(copart, 3)
     low = F.exists(F.concat("n0", "n1", "n2"), lambda u: u <= F.col("v0"))
     assert level.where(low).isEmpty() and not level.isEmpty()
+
+
+@pytest.fixture(scope="module")
+def copied_events(spark, tmp_path_factory):
+    """Every user of events three times, and one that stands alone; rows without a user or a minute."""
+    folder = tmp_path_factory.mktemp("copied")
+    e = spark.read.parquet(f"{SF}/events.parquet").select("ts", "user_id")
+    users = e.select("ts", F.explode(F.sequence(F.lit(0), F.lit(2))).alias("c"), "user_id").select("ts", (F.col("user_id") + F.col("c") * 10**9).alias("user_id"))
+    odd = spark.sql("SELECT timestamp'2031-01-01 00:00:00' AS ts, 7L AS user_id UNION ALL SELECT timestamp'2031-01-01 00:00:00', NULL UNION ALL SELECT NULL, 8L UNION ALL SELECT NULL, 9L")
+    users.unionByName(users).unionByName(odd).coalesce(1).write.parquet(f"{folder}/events.parquet")
+    return str(folder)
+
+
+def _by_formula(spark, folder):
+    return counted(motifs.count(PropertyGraph.of(graphs.comin(spark, folder)), 4, method="formula"))
+
+
+@pytest.mark.parametrize("strategy", connect.STRATEGIES)
+def test_connectivity_on_copies_shuffles_no_candidates(spark, copied_events, strategy):
+    want = _by_formula(spark, copied_events)
+    assert min(want.values()) > 0
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        found = catalogue.QUERIES[f"abl_conn_{strategy}"](spark, copied_events)
+        plan = found._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("SortMergeJoin") <= 1  # the names of the patterns
+        assert counted(found) == want
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
+@pytest.mark.parametrize("layout", levels.LAYOUTS)
+def test_layouts_on_copies_store_no_last_level(spark, copied_events, layout, monkeypatch):
+    kept, keep = [], levels.Store._keep
+    monkeypatch.setattr(levels.Store, "_keep", lambda self, size, df: (kept.append(size), keep(self, size, df)))
+    assert counted(catalogue.QUERIES[f"abl_layout4_{layout}"](spark, copied_events)) == _by_formula(spark, copied_events)
+    assert kept == [2, 3]
+
+
+def test_fold_of_equal_nodes(spark, copied_events):
+    g = shared.fold(graphs.comin_rows(spark, copied_events))
+    assert g.weights.agg(F.sum("weight")).first()[0] == spark.read.parquet(f"{copied_events}/events.parquet").where("ts is not null").select("user_id").dropna().distinct().count()
+    whole = PropertyGraph.of(graphs.comin(spark, copied_events))
+    assert g.n_edges * 8 < whole.n_edges
+    for k in (2, 3):
+        assert counted(motifs.count(g, k, how="two_step", method="engine", fused=True)) == counted(motifs.count(whole, k, how="two_step", method="engine"))
+    with pytest.raises(ValueError):
+        motifs.count(g, 4)
