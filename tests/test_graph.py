@@ -2,6 +2,7 @@
 
 import itertools
 import math
+import re
 
 import numpy as np
 import pytest
@@ -531,3 +532,17 @@ def test_fold_of_equal_nodes(spark, copied_events):
         assert counted(motifs.count(g, k, how="two_step", method="engine", fused=True)) == counted(motifs.count(whole, k, how="two_step", method="engine"))
     with pytest.raises(ValueError):
         motifs.count(g, 4)
+
+
+def test_linear_scans_one_part_of_a_list(spark):
+    edges = [(a, b) for a in range(-20, 40) for b in range(a + 1, 40) if (a * b + a + b) % 3 == 0]
+    g = PropertyGraph(spark.createDataFrame(edges, "src int, dst int"))
+    near = g.adjacency().select(F.col("id").alias("u"), F.col("nbrs").alias("_n"))
+    whole, parted = ({r["u"]: r["_n"] for r in df.collect()} for df in (near, connect._parted(near)))
+    for u, parts in parted.items():
+        assert sorted(v for p in parts for v in p) == whole[u] and all(v % connect.LIST_PARTS == i for i, p in enumerate(parts) for v in p)
+    level = g.edges.select(F.col("src").alias("v0"), F.col("dst").alias("v1"))
+    cand = level.join(near.select("u"), F.expr("u <> v0 and u <> v1"))
+    found = connect.position_bits(cand, 2, g, "linear", fused=True)
+    assert re.search(r"_n#\d+\[", found._jdf.queryExecution().optimizedPlan().toString())
+    assert {tuple(r) for r in found.select("v0", "v1", "u", "bits").collect()} == {(a, b, u, (a in whole[u]) + 2 * (b in whole[u])) for a, b in edges for u in whole if u not in (a, b)}
