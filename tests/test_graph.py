@@ -546,3 +546,13 @@ def test_linear_scans_one_part_of_a_list(spark):
     found = connect.position_bits(cand, 2, g, "linear", fused=True)
     assert re.search(r"_n#\d+\[", found._jdf.queryExecution().optimizedPlan().toString())
     assert {tuple(r) for r in found.select("v0", "v1", "u", "bits").collect()} == {(a, b, u, (a in whole[u]) + 2 * (b in whole[u])) for a, b in edges for u in whole if u not in (a, b)}
+
+
+def test_intersect_counts_the_last_level_from_its_parents(spark, copied_events, monkeypatch):
+    want, grown, grow = _by_formula(spark, copied_events), [], engine.grow_vertices
+    monkeypatch.setattr(engine, "grow_vertices", lambda level, size, *rest: (grown.append(size), grow(level, size, *rest))[1])
+    assert counted(catalogue.QUERIES["abl_conn_intersect"](spark, copied_events)) == want
+    assert grown == [2]
+    g = shared.fold(graphs.comin_rows(spark, copied_events))
+    g.most_weight = 1 << 32  # more than an entry of a list holds
+    assert counted(motifs.count(g, 4, method="engine", connectivity="intersect", fused=True)) == want
