@@ -13,7 +13,7 @@ from motifmill.apps import cliques, frequent, motifs, triangles
 from motifmill.baselines import formula_motifs, frequent_others, others
 from motifmill.functions import patterns
 from motifmill.graph import PropertyGraph, dense_ids, normalise
-from motifmill.operators import blocking, connect, engine, levels, shared, support
+from motifmill.operators import blocking, connect, dense, engine, levels, shared, support
 from motifmill.operators.rules import AppSpec
 from motifmill.plans import planning
 from motifmill.sources import graphs
@@ -556,3 +556,23 @@ def test_intersect_counts_the_last_level_from_its_parents(spark, copied_events,
     g = shared.fold(graphs.comin_rows(spark, copied_events))
     g.most_weight = 1 << 32  # more than an entry of a list holds
     assert counted(motifs.count(g, 4, method="engine", connectivity="intersect", fused=True)) == want
+
+
+@pytest.fixture
+def small_is_dense(monkeypatch):
+    monkeypatch.setattr(dense, "LEAST_EDGES", 0)
+    monkeypatch.setattr(dense, "SPARSE", 1 << 20)
+
+
+def test_fours_of_dense_graphs_grow_no_rows(spark, comin, small_is_dense, monkeypatch):
+    want = counted(motifs.count(comin, 4, method="formula"))
+    monkeypatch.setattr(motifs, "_carry_level", lambda *_: pytest.fail("a level of rows"))
+    assert counted(motifs.count(comin, 4)) == want
+    rng = np.random.default_rng(3)
+    for n, share in ((5, 1.0), (2, 1.0), (40, 0.2), (150, 0.5)):  # 150: lists of more than one word
+        pairs = [(7 * a - 50, 7 * b - 50) for a, b in complete(n) if rng.random() < share]
+        g = graph_of(spark, pairs)
+        want = counted(motifs.count(g, 4, method="formula"))
+        assert counted(motifs.count(g, 4)) == want and counted(motifs.count(g, 4, how="memo")) == want
+    monkeypatch.setattr(dense, "BITS_BYTES", 0)
+    assert not dense.fits(comin)
