@@ -576,3 +576,14 @@ def test_fours_of_dense_graphs_grow_no_rows(spark, comin, small_is_dense, monkey
         assert counted(motifs.count(g, 4)) == want and counted(motifs.count(g, 4, how="memo")) == want
     monkeypatch.setattr(dense, "BITS_BYTES", 0)
     assert not dense.fits(comin)
+
+
+def test_intersect_of_many_arcs_grows_no_rows(spark, copied_events, small_is_dense, monkeypatch):
+    want = _by_formula(spark, copied_events)
+    edges = sorted(map(tuple, graphs.comin(spark, copied_events).collect()))
+    g = shared.unfold(shared.fold(graphs.comin_rows(spark, copied_events)))
+    degrees = lambda pairs: sorted(sum(v in e for e in pairs) for v in {v for e in pairs for v in e})
+    assert degrees(sorted(map(tuple, g.edges.collect()))) == degrees(edges) and g.validate()
+    monkeypatch.setattr(connect, "BROADCAST_EDGES", 0)  # joins with the arcs would be shuffled
+    monkeypatch.setattr(engine, "grow_vertices", lambda *_: pytest.fail("a level of rows"))
+    assert counted(catalogue.QUERIES["abl_conn_intersect"](spark, copied_events)) == want
