@@ -13,7 +13,7 @@ from motifmill.apps import cliques, frequent, motifs, triangles
 from motifmill.baselines import formula_motifs, frequent_others, others
 from motifmill.functions import patterns
 from motifmill.graph import PropertyGraph, dense_ids, normalise
-from motifmill.operators import blocking, connect, dense, engine, levels, shared, support
+from motifmill.operators import blocking, connect, dense, engine, levels, listed, shared, support
 from motifmill.operators.rules import AppSpec
 from motifmill.plans import planning
 from motifmill.sources import graphs
@@ -587,3 +587,19 @@ def test_intersect_of_many_arcs_grows_no_rows(spark, copied_events, small_is_den
     monkeypatch.setattr(connect, "BROADCAST_EDGES", 0)  # joins with the arcs would be shuffled
     monkeypatch.setattr(engine, "grow_vertices", lambda *_: pytest.fail("a level of rows"))
     assert counted(catalogue.QUERIES["abl_conn_intersect"](spark, copied_events)) == want
+
+
+def test_threes_of_stored_lists_shuffle_no_list(spark, tmp_path, monkeypatch):
+    lines = [(o, (7 * o * p + p * p) % 61 - 9, p) for o in range(90) for p in range(o % 6)] + [(5, None, 9), (None, 4, 9), (None, 5, 9), (3, 10**12, 9), (3, 10**12, 8)]
+    spark.createDataFrame(lines, "l_orderkey long, l_partkey long, l_linenumber int").write.parquet(f"{tmp_path}/lineitem.parquet")
+    edges = sorted(map(tuple, graphs.copart_full(spark, str(tmp_path)).collect()))
+    want = counted(motifs.count(PropertyGraph.of(graphs.copart_full(spark, str(tmp_path))), 3))
+    g = graphs.load_lists(spark, str(tmp_path), "copart_full")
+    assert sorted(map(tuple, g.edges.collect())) == edges and min(want.values()) > 0
+    monkeypatch.setattr(motifs, "_carry_level", lambda *_: pytest.fail("lists are joined to edges"))
+    assert counted(catalogue.QUERIES["mc3_copart_full"](spark, str(tmp_path))) == want
+    monkeypatch.setattr(listed, "BLOCK_BYTES", 400)  # many blocks
+    monkeypatch.setattr(listed, "GATHER", 20)
+    assert counted(motifs.count(g, 3)) == want
+    none = spark.createDataFrame([], "id long, nbrs array<long>")
+    assert set(counted(motifs.count(PropertyGraph(g.edges.limit(0), lists=none), 3)).values()) == {0}
