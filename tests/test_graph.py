@@ -603,3 +603,21 @@ def test_threes_of_stored_lists_shuffle_no_list(spark, tmp_path, monkeypatch):
     assert counted(motifs.count(g, 3)) == want
     none = spark.createDataFrame([], "id long, nbrs array<long>")
     assert set(counted(motifs.count(PropertyGraph(g.edges.limit(0), lists=none), 3)).values()) == {0}
+
+
+def test_depth_first_completes_extension_sets_together(spark, comin, small_is_dense, monkeypatch):
+    want = counted(motifs.count(comin, 4, method="formula"))
+    rng = np.random.default_rng(4)
+    bits = []
+    for n, share in ((9, 0.6), (90, 0.3)):
+        pairs = [p for p in complete(n) if rng.random() < share]
+        near = [sorted({a + b - v for a, b in pairs if v in (a, b)}) for v in range(n)]
+        bits.append(dense.Bits(np.append(0, np.cumsum([len(x) for x in near])), np.array(sum(near, []), np.int32)))
+    for b in bits:  # both orders, for the same sets
+        found = [{}, {}]
+        for down in (False, True):
+            for mask, c in dense.tallied(b, range(b.n), down).items():
+                found[down][patterns.name_of(mask, 4)] = found[down].get(patterns.name_of(mask, 4), 0) + c
+        assert found[0] == found[1]
+    monkeypatch.setattr(others, "near_sets", lambda *_: pytest.fail("sets of Python numbers"))
+    assert counted(others.dfs_motifs(comin, 4)) == want
