@@ -584,7 +584,7 @@ def test_intersect_of_many_arcs_grows_no_rows(spark, copied_events, small_is_den
     g = shared.unfold(shared.fold(graphs.comin_rows(spark, copied_events)))
     degrees = lambda pairs: sorted(sum(v in e for e in pairs) for v in {v for e in pairs for v in e})
     assert degrees(sorted(map(tuple, g.edges.collect()))) == degrees(edges) and g.validate()
-    monkeypatch.setattr(connect, "BROADCAST_EDGES", 0)  # joins with the arcs would be shuffled
+    assert shared.unfolded_size(shared.fold(graphs.comin_rows(spark, copied_events))) == (len({v for e in edges for v in e}), len(edges))
     monkeypatch.setattr(engine, "grow_vertices", lambda *_: pytest.fail("a level of rows"))
     assert counted(catalogue.QUERIES["abl_conn_intersect"](spark, copied_events)) == want
 
